@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import packing, token_counts
-from .common import table
+from . import language_mixture, packing, secrets, token_counts, toxicity
+from .common import id_residue, table
 
 
 def tokenizer_file(name: str) -> str:
@@ -17,16 +18,54 @@ def tokenizer_file(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def toxicity_classifier(spark: SparkSession, sf_dir: str) -> toxicity.Classifier:
+    """Learned from labelled rows of the given tables whose residue modulo 4 is not 2; residue 3 calibrates."""
+    residue = id_residue(F.col("doc_id"), 4)
+    return toxicity.fit(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), residue != 2, residue == 3)
+
+
+def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = toxicity.score(docs, toxicity_classifier(spark, sf_dir), out="score")
+    held_out = F.coalesce(id_residue(F.col("doc_id"), 4) == 2, F.lit(False))
+    return scored.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op4_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    found = secrets.scan(docs, secrets.fit(docs))
+
+    def count(kind: str) -> Column:
+        return F.size(F.filter("spans", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+
+    def listed(spans: Column) -> Column:
+        return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
+
+    base = listed(F.filter("spans", lambda s: s["kind"] != "markov"))
+    return found.select("doc_id", count("assign"), count("access"), count("hex"), F.sha2(base, 256).alias("base_sha256"), listed(F.col("spans")).alias("spans"))
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_file("word_bpe_49k.json"))
 
 
+def op8_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    residue = id_residue(F.col("doc_id"), 5)
+    model = language_mixture.fit(docs.where(residue != 0))
+    keep = {"held_out": F.coalesce(residue == 0, F.lit(False))}
+    return language_mixture.identify(docs, model, keep=keep).select("doc_id", "held_out", "lang_pred", "score")
+
+
 def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"))
 
 
 CALLS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op3_toxicity": op3_toxicity,
+    "op4_secrets": op4_secrets,
     "op5_packing": op5_packing,
+    "op8_language_mixture": op8_language_mixture,
     "op10_token_counts": op10_token_counts,
 }
 
