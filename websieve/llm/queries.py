@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, language_mixture, line_dedup, packing, secrets, token_counts, toxicity, vector_search, warc
+from . import decontamination, language_mixture, line_dedup, ngram_join, packing, secrets, token_counts, toxicity, vector_search, warc
 from .common import id_residue, shared_path, table
 
 
@@ -24,6 +24,10 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return index.report().select("doc_id", "n_words", "n_hit", F.size("item_ids").cast("long").alias("n_items"), listed.alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
+def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.NearDuplicates(table(spark, sf_dir, "documents")).report().select("doc_id", "n_shingles", "component_id")
+
+
 def toxicity_classifier(spark: SparkSession, sf_dir: str) -> toxicity.Classifier:
     """Learned from labelled rows of the given tables whose residue modulo 4 is not 2; residue 3 calibrates."""
     residue = id_residue(F.col("doc_id"), 4)
@@ -105,6 +109,7 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 CALLS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_decontamination": op1_decontamination,
+    "op2_ngram_join": op2_ngram_join,
     "op3_toxicity": op3_toxicity,
     "op4_secrets": op4_secrets,
     "op5_packing": op5_packing,
