@@ -1,20 +1,63 @@
-"""The corpus pipeline: stages over ``documents``, each written as Parquet and read again."""
+"""The corpus pipeline: stages over ``documents``, each written as Parquet and read again.
+
+Every stage works on all that its predecessor kept, and each is judged by the rows it gets:
+toxic documents go; lines that are boilerplate of their source go from the texts; of each group of near copies the
+document with the smallest id stays; documents that hold a window of a benchmark item go; the rest is packed. All stages
+but the last return the columns of ``documents``, with ``n_chars`` following the text.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from websieve.llm import packing
+from websieve.llm import decontamination, line_dedup, ngram_join, packing, toxicity
 from websieve.llm.common import table, written
-from websieve.llm.queries import tokenizer_file
+from websieve.llm.queries import tokenizer_file, toxicity_classifier
+
+TOXIC_FROM = 0.5
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that are less likely toxic than not; the classifier learns as the toxicity query's does."""
+    scored = toxicity.score(docs, toxicity_classifier(spark, sf_dir), out="__toxicity")
+    return scored.where(F.col("__toxicity") < TOXIC_FROM).drop("__toxicity")
+
+
+def drop_boilerplate_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without the lines that are frequent in their source; one left with no text goes if it had some."""
+    cleaned = line_dedup.drop_boilerplate(docs.withColumn("__had", F.trim(F.coalesce("text", F.lit(""))) != ""), "doc_id", "source", "text")
+    kept = cleaned.where(~F.col("__had") | (F.trim("text") != "")).drop("__had")
+    return kept.withColumn("n_chars", F.length("text").cast("long"))
+
+
+def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document with the smallest id of each component of near copies; documents without words stay."""
+    groups = ngram_join.NearDuplicates(docs).report().select(F.col("doc_id").alias("__id"), "component_id", "n_shingles")
+    stays = written(groups.where("n_shingles = 0 OR __id = component_id").select("__id").distinct(), "pipeline-kept-ids")
+    return docs.dropDuplicates(["doc_id"]).join(stays, F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi")
+
+
+def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents in which no window of a benchmark item occurs."""
+    hit = decontamination.TestIndex(docs, table(spark, sf_dir, "benchmark")).hits().select(F.col("doc_id").alias("__id"))
+    return docs.join(hit, F.col("doc_id").eqNullSafe(F.col("__id")), "left_anti")
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all documents in sequences of at most 2048 tokens."""
     return packing.pack(docs, tokenizer_file("word_bpe_49k.json"))
 
 
-STAGES = [("packing", packed)]
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("line_dedup", drop_boilerplate_lines),
+    ("ngram_join", keep_one_of_each_group),
+    ("decontamination", drop_contaminated),
+    ("packing", packed),
+]
 
+#: Language models and tokenizers are beyond SQL; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
