@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from websieve.llm import decontamination, line_dedup, ngram_join, packing, toxicity
-from websieve.llm.common import table, written
+from websieve.llm.common import table, without_ids, written
 from websieve.llm.queries import tokenizer_file, toxicity_classifier
 
 TOXIC_FROM = 0.5
@@ -32,16 +32,17 @@ def drop_boilerplate_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each component of near copies; documents without words stay."""
-    groups = ngram_join.NearDuplicates(docs).report().select(F.col("doc_id").alias("__id"), "component_id", "n_shingles")
-    stays = written(groups.where("n_shingles = 0 OR __id = component_id").select("__id").distinct(), "pipeline-kept-ids")
-    return docs.dropDuplicates(["doc_id"]).join(stays, F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi")
+    """The document with the smallest id of each component of near copies; documents without words or id stay."""
+    groups = written(ngram_join.NearDuplicates(docs).report().select("doc_id", "component_id", "n_shingles"), "pipeline-groups")
+    kept = without_ids(docs, "doc_id", groups.where("n_shingles > 0 AND doc_id <> component_id").select("doc_id").distinct())
+    no_repeats = groups.where("doc_id IS NOT NULL AND n_shingles > 0").groupBy("doc_id").count().where("count > 1").isEmpty()
+    return kept if no_repeats else kept.dropDuplicates(["doc_id", "text"])
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in which no window of a benchmark item occurs."""
-    hit = decontamination.TestIndex(docs, table(spark, sf_dir, "benchmark")).hits().select(F.col("doc_id").alias("__id"))
-    return docs.join(hit, F.col("doc_id").eqNullSafe(F.col("__id")), "left_anti")
+    index = decontamination.TestIndex(docs.where("doc_id IS NOT NULL"), table(spark, sf_dir, "benchmark"))
+    return without_ids(docs, "doc_id", index.phrases().select("doc_id").distinct())
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

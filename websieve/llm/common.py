@@ -58,6 +58,13 @@ def small_enough(df: DataFrame, rows: int) -> bool:
     return df.limit(rows + 1).count() <= rows
 
 
+def without_ids(df: DataFrame, id_col: str, ids: DataFrame, broadcast_rows: int = 1_000_000) -> DataFrame:
+    """Rows of ``df`` whose id is not in ``ids`` (one column, no nulls); the ids are broadcast when they are few."""
+    ids = written(ids.toDF("__gone"), "ids")
+    side = F.broadcast(ids) if small_enough(ids, broadcast_rows) else ids
+    return df.join(side, F.col(id_col) == F.col("__gone"), "left_anti")
+
+
 def ascii_lower(text: Column) -> Column:
     return F.translate(text, UPPER, LOWER)
 
