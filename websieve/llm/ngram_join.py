@@ -44,8 +44,9 @@ def mixed(x: np.ndarray, by: np.uint64) -> np.ndarray:
 
 def shingle_sets(texts: pa.Array, width: int) -> list[np.ndarray]:
     """The distinct shingle hashes of each text, rising."""
-    lowered = pc.replace_substring_regex(pc.ascii_lower(pc.fill_null(texts, "").cast(pa.large_string())), "[\t-\r]", " ")
-    words = Words(lowered)
+    # Lower-casing comes last: this library's ascii_lower misreads a sliced array of large strings, and replacing copies.
+    spaced = pc.replace_substring_regex(pc.fill_null(texts, ""), "[\t-\r]", " ")
+    words = Words(pc.ascii_lower(spaced))
     hashes = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in words.distinct.cast(pa.large_binary()).to_pylist()), np.uint64, len(words.distinct))
     filled = (pc.binary_length(words.distinct).to_numpy(zero_copy_only=False) > 0)[words.codes]
     stream = hashes[words.codes[filled]]
