@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches
+from .common import map_batches, small_enough, written
 
 CRLF = "\r\n"
 MAGIC = b"WARC/1.0\r\n"
@@ -36,17 +36,19 @@ END = b"\r\n\r\n"
 RECORD = "key {}, url string, payload_bytes long, payload_digest string, record_type string, refers_to {}"
 
 
-def mark_revisits(pages: DataFrame, id_col: str, url_col: str, html_col: str, least_bytes: int) -> DataFrame:
+def mark_revisits(pages: DataFrame, id_col: str, url_col: str, html_col: str, least_bytes: int, broadcast_rows: int = 500_000) -> DataFrame:
     """Pages with payload, its size and digest, and the id of the response to which a revisit refers.
 
-    Only (digest, id) pairs are shuffled for the smallest id of each digest; the page itself meets that
-    answer in a join that Spark may split where one digest is frequent.
+    Only (digest, id) pairs are shuffled for the smallest id of each digest. Digests of more than one page are sent to
+    the pages when there are at most ``broadcast_rows`` of them (some 50 MB); beyond that pages meet them in a join that
+    Spark may split where one digest is frequent.
     """
     html = F.coalesce(F.col(html_col), F.lit(""))
     rows = pages.select(F.col(id_col).alias("key"), F.col(url_col).alias("url"), html.alias("payload"), F.octet_length(html).cast("long").alias("size"), F.sha2(html.cast("binary"), 256).alias("digest"))
     large = F.col("size") >= least_bytes
     counted = rows.where(large).groupBy("digest").agg(F.min("key").alias("response"), F.count(F.lit(1)).alias("copies"))
-    responses = counted.where("copies > 1").drop("copies")
+    responses = written(counted.where("copies > 1").drop("copies"), "responses")
+    responses = F.broadcast(responses) if small_enough(responses, broadcast_rows) else responses
     return rows.join(responses, (rows.digest == responses.digest) & large, "left").select(rows["*"], F.when(F.col("key") != F.col("response"), F.col("response")).alias("refers_to"))
 
 
