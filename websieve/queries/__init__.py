@@ -6,5 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-CALLS: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
+from . import corpora, dedups, models, preprocess
+
+FAMILIES = (preprocess, dedups, models, corpora)
+
+CALLS: dict[str, Callable[[SparkSession, str], DataFrame]] = {name: call for family in FAMILIES for name, call in family.CALLS.items()}
+ORACLES: dict[str, str] = {name: sql for family in FAMILIES for name, sql in family.ORACLES.items()}
