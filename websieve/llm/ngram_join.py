@@ -1,8 +1,8 @@
 """Near duplicates by a Jaccard join over word n-grams with prefix filtering.
 
 A text's set is its distinct n-word shingles. Texts with equal sets form a class and go on as one. Shingles are
-put in one global order, rare first: by a count over all documents, kept in a table of fixed size, then by
-hash. Two sets whose Jaccard similarity reaches the threshold share a shingle among the first few of each (the
+put in one global order, rare first: by a count over all documents, kept in a table of fixed size (2 bytes for each of 2**24
+slots: 32 MB), then by hash. Two sets whose Jaccard similarity reaches the threshold share a shingle among the first few of each (the
 prefix), so only classes that share a prefix shingle are candidates. Candidates pass the length filter, the positional
 filter (what can still be shared after the first common shingle) and, before their sets are intersected, the
 suffix filter (a lower bound of the sets' difference from counts between pivots). Each pair is verified once, exactly.
@@ -99,7 +99,7 @@ def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
 class NearDuplicates:
     """The join of one table of documents with itself."""
 
-    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, width: int = 5, percent: int = 80, sketch_bits: int = 22, broadcast_rows: int = 1_000_000, settle_after: int = 8):
+    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, width: int = 5, percent: int = 80, sketch_bits: int = 24, broadcast_rows: int = 1_000_000, settle_after: int = 4):
         self.docs = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("t"))
         self.id_type = self.docs.schema["doc_id"].dataType.simpleString()
         self.id_col, self.width, self.percent, self.sketch_bits, self.broadcast_rows, self.settle_after = id_col, width, percent, sketch_bits, broadcast_rows, settle_after
@@ -114,7 +114,7 @@ class NearDuplicates:
         width, bits = self.width, self.sketch_bits
 
         def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            counts, id_type = np.zeros(1 << bits, np.int64), pa.int64()
+            counts, id_type = np.zeros(1 << bits, np.uint32), pa.int64()
             names = ["doc_id", "n_shingles", "key", "sketch"]
             for batch in batches:
                 id_type = batch.schema.field(0).type
@@ -124,7 +124,7 @@ class NearDuplicates:
                         np.add.at(counts, (s >> np.uint64(64 - bits)).astype(np.int64), 1)
                     keys = np.array([set_key(s) for s in sets], np.uint64).view(np.int64)
                     yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys), pa.nulls(len(sets), pa.binary())], names)
-            blob = zlib.compress(np.minimum(counts, 0xFFFF).astype(np.uint16).tobytes(), 1)
+            blob = zlib.compress(np.minimum(counts, 0xFFFF).astype("<u2").tobytes(), 1)
             yield pa.RecordBatch.from_arrays([pa.nulls(1, id_type), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.array([blob], pa.binary())], names)
 
         return map_batches(self.docs, measure, f"doc_id {self.id_type}, n_shingles long, key long, sketch binary")
@@ -136,16 +136,16 @@ class NearDuplicates:
         tasks = max(1, int(sketches.count() ** 0.5))
 
         def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            total = np.zeros(1 << bits, np.int64)
+            total = np.zeros(1 << bits, np.uint32)
             for batch in batches:
                 for blob in batch.column(0):
-                    total += np.frombuffer(zlib.decompress(blob.as_py()), np.uint16)
-            yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(np.minimum(total, 0xFFFFFFFF).astype(np.uint32).tobytes(), 1)], pa.binary())], ["s"])
+                    added(total, blob.as_py())
+            yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(np.minimum(total, 0xFFFF).astype("<u2").tobytes(), 1)], pa.binary())], ["s"])
 
-        total = np.zeros(1 << bits, np.int64)
+        total = np.zeros(1 << bits, np.uint32)
         for row in map_batches(sketches.coalesce(tasks), add, "s binary").toLocalIterator():
-            total += np.frombuffer(zlib.decompress(row.s), np.uint32)
-        return np.minimum(total, 0xFFFFFFFF).astype(np.uint32)
+            added(total, row.s)
+        return np.minimum(total, 0xFFFF).astype(np.uint16)
 
     def _prefixes(self) -> DataFrame:
         """(token, key, place): the prefix shingles of each text; ``place`` holds the set's size and the position."""
@@ -225,34 +225,35 @@ class NearDuplicates:
         size = entries.count()
         checked = spark.createDataFrame([], "a long, b long, linked boolean")
         groups = spark.createDataFrame([], "node long, component long")
-        for turn in range(1 << 30):
-            labelled = entries.join(groups.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
+        for turn in range(self.settle_after + 1):
+            if turn:
+                labelled = entries.join(groups.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
+            else:
+                labelled = entries.withColumn("component", F.col("key"))
             # The leader of a shingle changes from turn to turn; it is the entry whose hash is smallest.
             rank = F.xxhash64("key", F.lit(turn))
-            tokens = labelled.groupBy("token").agg(F.min("component").alias("c1"), F.max("component").alias("c2"), F.count(F.lit(1)).alias("m"), F.min(rank).alias("lead"))
-            mixed_tokens = tokens.where("c1 <> c2").select("token", "m", "lead")
-            open_entries = written(labelled.join(mixed_tokens, "token"), "open-prefixes")
-            if open_entries.isEmpty():
+            sides = labelled.groupBy("token", "component").agg(F.count(F.lit(1)).alias("m"), F.min(rank).alias("lead"))
+            tokens = sides.groupBy("token").agg(F.count(F.lit(1)).alias("sides"), F.min("lead").alias("lead"), (F.sum("m") * F.sum("m") - F.sum(F.col("m") * F.col("m"))).alias("twice"))
+            tokens = written(tokens.where("sides > 1").select("token", "lead", "twice"), "mixed-tokens")
+            pairs_left = tokens.agg(F.sum("twice")).first()[0]
+            if not pairs_left:
                 break
-            same = open_entries.groupBy("token", "component").agg(F.count(F.lit(1)).alias("m")).agg(F.sum(F.col("m") * F.col("m"))).first()[0]
-            every = open_entries.select("token", "m").distinct().agg(F.sum(F.col("m") * F.col("m"))).first()[0]
-            settle = (every - same) // 2 <= 2 * size + 10_000 or turn >= self.settle_after
+            settle = pairs_left // 2 <= 2 * size + 10_000 or turn == self.settle_after
+            # Components only grow, so a shingle that has one component now is settled for good.
+            open_entries = written(labelled.join(tokens, "token").select("token", "key", "n", "pos", "component", "lead"), "open-prefixes")
+            entries = open_entries.select("token", "key", "n", "pos")
             left = open_entries.select("token", F.col("key").alias("a"), F.col("n").alias("n_a"), F.col("pos").alias("pos_a"), F.col("component").alias("c_a"))
-            if settle:
-                right = open_entries.select("token", F.col("key").alias("b"), F.col("n").alias("n_b"), F.col("pos").alias("pos_b"), F.col("component").alias("c_b"))
-                lengths = (100 * F.least("n_a", "n_b") >= self.percent * F.greatest("n_a", "n_b"))
-                met = left.join(right, "token").where((F.col("a") < F.col("b")) & (F.col("c_a") != F.col("c_b")) & lengths)
-            else:
-                leaders = open_entries.where(rank == F.col("lead")).select("token", F.col("key").alias("b"), F.col("n").alias("n_b"), F.col("pos").alias("pos_b"), F.col("component").alias("c_b"))
-                met = left.join(leaders, "token").where("c_a <> c_b")
-            pairs = self._pairs(met).join(checked.select("a", "b"), ["a", "b"], "left_anti")
+            others = open_entries if settle else open_entries.where(rank == F.col("lead"))
+            right = others.select("token", F.col("key").alias("b"), F.col("n").alias("n_b"), F.col("pos").alias("pos_b"), F.col("component").alias("c_b"))
+            lengths = 100 * F.least("n_a", "n_b") >= self.percent * F.greatest("n_a", "n_b")
+            met = left.join(right, "token").where((F.col("c_a") != F.col("c_b")) & lengths)
+            pairs = self._pairs(met.where("a < b") if settle else met).join(checked.select("a", "b"), ["a", "b"], "left_anti")
             if not settle:  # for each class the leader with which it shares most
                 ends = pairs.select(F.col("a").alias("k"), "a", "b", "tokens").unionByName(pairs.select(F.col("b").alias("k"), "a", "b", "tokens"))
                 pairs = ends.groupBy("k").agg(F.max_by(F.struct("a", "b"), F.struct("tokens", "a", "b")).alias("p")).select("p.a", "p.b").distinct()
             found = written(self._verified(written(pairs, "pairs"), texts), "verified")
             checked = checked.unionByName(found)
-            if not found.where("linked").isEmpty():
-                groups = written(self._joined(groups, found.where("linked")), "groups")
+            groups = written(self._joined(groups, found.where("linked")), "groups")
             if settle:
                 break
         return checked.where("linked").select("a", "b"), groups
@@ -279,6 +280,12 @@ class NearDuplicates:
         return out.select(F.col("doc_id").alias(self.id_col), "n_shingles", "component_id", F.col("key").alias("class_key"))
 
 
+def added(total: np.ndarray, blob: bytes) -> None:
+    """Add packed counts to a total; counts stop at 65,535, beyond which all shingles rank as equally frequent."""
+    total += np.frombuffer(zlib.decompress(blob), "<u2")
+    np.minimum(total, 1 << 30, out=total)
+
+
 def set_key(s: np.ndarray) -> np.uint64:
     """A 64-bit name of a set; two different sets among n have the same one with a chance of about n * n / 2**65."""
     return mixed(s, MIX_B).sum(dtype=np.uint64) ^ np.uint64(len(s)) if len(s) else np.uint64(0)
