@@ -115,10 +115,10 @@ def sql_model(sentences: str) -> str:
 
     return f"""
 framed AS (SELECT lang, list_concat(['<s>'], toks, ['</s>']) AS t FROM {sentences}
-), at AS (SELECT lang, t, unnest(range(2, len(t) + 1)) AS i FROM framed
-), c1 AS (SELECT lang, t[i] AS z, count(*) AS n FROM at GROUP BY ALL
-), c2 AS (SELECT lang, t[i - 1] AS y, t[i] AS z, count(*) AS n FROM at GROUP BY ALL
-), c3 AS (SELECT lang, t[i - 2] AS x, t[i - 1] AS y, t[i] AS z, count(*) AS n FROM at WHERE i > 2 GROUP BY ALL
+), spots AS (SELECT lang, t, unnest(range(2, len(t) + 1)) AS i FROM framed
+), c1 AS (SELECT lang, t[i] AS z, count(*) AS n FROM spots GROUP BY ALL
+), c2 AS (SELECT lang, t[i - 1] AS y, t[i] AS z, count(*) AS n FROM spots GROUP BY ALL
+), c3 AS (SELECT lang, t[i - 2] AS x, t[i - 1] AS y, t[i] AS z, count(*) AS n FROM spots WHERE i > 2 GROUP BY ALL
 ), a1 AS (SELECT lang, z, count(*) AS a FROM c2 GROUP BY ALL
 ), l2 AS (SELECT lang, y, z, count(*) AS l FROM c3 GROUP BY ALL
 ), a2 AS (SELECT c2.lang, c2.y, c2.z, CASE WHEN c2.y = '<s>' THEN c2.n ELSE l2.l END AS a FROM c2 LEFT JOIN l2 USING (lang, y, z)
