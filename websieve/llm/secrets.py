@@ -2,7 +2,7 @@
 
 Two models of character pairs, one of random strings and one of ordinary identifiers and words, are counted
 over all texts from labelled samples: values that the patterns find are random strings (with a prior of
-uniformly random ones of the usual alphabets), all other words are ordinary. A string of the alphabet of
+uniformly random ones of the usual alphabets), all other words of fewer than 20 characters are ordinary. A string of the alphabet of
 keys that is long enough is a secret when its log-likelihood ratio exceeds a threshold for each character
 and in total. Spans found by a pattern stay; the models only add spans that touch none of them.
 
@@ -37,6 +37,7 @@ HINTS = {
     "access": "AKIA[A-Z0-9]{16}",
     "hex": "[0-9a-f]{24}",
 }
+LEAST = 20  # characters of a string that the models judge; shorter words are the ordinary sample
 KEY_STRING = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
 WORD = re.compile(r"[A-Za-z0-9+/_=-]{6,}")
 ALPHABETS = ("0123456789abcdef", "0123456789ABCDEF", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", "abcdefghijklmnopqrstuvwxyz0123456789")
@@ -78,9 +79,12 @@ def random_prior(weight: float) -> np.ndarray:
 class PairModels:
     """Log-likelihood ratio of character pairs, random to ordinary."""
 
-    def __init__(self, random: np.ndarray, ordinary: np.ndarray, smoothing: float = 0.5):
+    def __init__(self, random: np.ndarray, ordinary: np.ndarray, pull: float = 5.0, smoothing: float = 0.5):
         def log_p(counts: np.ndarray) -> np.ndarray:
-            return np.log((counts + smoothing) / (counts.sum(axis=1, keepdims=True) + smoothing * STATES))
+            """Pairs lean on how frequent their second character is, so that what a sample lacks is unlikely under it."""
+            single = counts.sum(axis=0)
+            single = (single + smoothing) / (single.sum() + smoothing * STATES)
+            return np.log((counts + pull * single) / (counts.sum(axis=1, keepdims=True) + pull))
 
         self.ratio = (log_p(random) - log_p(ordinary)).ravel()
 
@@ -110,12 +114,12 @@ def fit(docs: DataFrame, text_col: str = "text", prior_weight: float = 20_000.0)
                 index = np.flatnonzero(size >= 6)
                 ordinary, weight = [], []
                 for word, n in zip(words.distinct.take(pa.array(index)).to_pylist(), times[index].tolist()):
-                    if word.isalpha():
+                    if word.isalpha() and len(word) < LEAST:
                         ordinary.append(word)
                         weight.append(n)
                         continue
                     for piece in WORD.findall(word):
-                        if piece not in taken:
+                        if len(piece) < LEAST and piece not in taken:
                             ordinary.append(piece)
                             weight.append(n)
                 pairs, owner = pair_states(ordinary)
@@ -142,7 +146,7 @@ def scan(docs: DataFrame, models: PairModels, id_col: str = "doc_id", text_col:
                 texts = part.column(1)
                 able = hinted(texts)
                 words = Words(texts, lines=True)
-                long = np.flatnonzero(pc.binary_length(words.distinct).to_numpy(zero_copy_only=False) >= 20)
+                long = np.flatnonzero(pc.binary_length(words.distinct).to_numpy(zero_copy_only=False) >= LEAST)
                 odd = np.zeros(len(words.distinct), bool)
                 pieces = [(int(i), p) for i, w in zip(long, words.distinct.take(pa.array(long)).to_pylist()) for p in KEY_STRING.findall(w)]
                 ratios = pair_models.ratios([p for _, p in pieces])
