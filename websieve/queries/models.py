@@ -100,9 +100,9 @@ def sql_model(sentences: str) -> str:
 
     def discount(n: int) -> str:
         return f"""d{n} AS (
-  SELECT lang, CASE WHEN ok THEN greatest(0.0, least(1.0, 1 - 2 * y * n2 / n1)) ELSE 0.5 END AS x1,
-         CASE WHEN ok THEN greatest(0.0, least(2.0, 2 - 3 * y * n3 / n2)) ELSE 1.0 END AS x2,
-         CASE WHEN ok THEN greatest(0.0, least(3.0, 3 - 4 * y * n4 / n3)) ELSE 1.5 END AS x3
+  SELECT lang, CASE WHEN ok THEN greatest(0.05, least(1.0, 1 - 2 * y * n2 / n1)) ELSE 0.5 END AS x1,
+         CASE WHEN ok THEN greatest(0.05, least(2.0, 2 - 3 * y * n3 / n2)) ELSE 1.0 END AS x2,
+         CASE WHEN ok THEN greatest(0.05, least(3.0, 3 - 4 * y * n4 / n3)) ELSE 1.5 END AS x3
   FROM (SELECT *, n1 / (n1 + 2.0 * n2) AS y, n1 > 0 AND n2 > 0 AND n3 > 0 AND n4 > 0 AS ok FROM (
     SELECT lang, count(*) FILTER (a = 1) AS n1, count(*) FILTER (a = 2) AS n2, count(*) FILTER (a = 3) AS n3, count(*) FILTER (a = 4) AS n4 FROM a{n} GROUP BY lang))
 )"""
