@@ -9,8 +9,8 @@ suffix filter (a lower bound of the sets' difference from counts between pivots)
 
 What is asked for is which documents are connected, so a pair that is known to be connected already needs no
 verification. Rounds first verify, for each class, the pair with the leader of most of its prefix shingles; the links found
-are joined to components, and the next round looks only at prefix shingles where different components meet. When few
-pairs are left, all of them are verified. Groups of near copies therefore cost about a pair for each copy and not one
+are joined to components, and the next round looks only at prefix shingles where different components meet. After a fixed number of
+rounds, the same at every size, all pairs that are left are verified. Groups of near copies therefore cost about a pair for each copy and not one
 for each pair of copies, and no link between components is missed, at any number of rounds.
 
 Edge cases: null, empty and blank texts have no shingles and are components of their own; texts of fewer words than a shingle
@@ -99,7 +99,7 @@ def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
 class NearDuplicates:
     """The join of one table of documents with itself."""
 
-    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, width: int = 5, percent: int = 80, sketch_bits: int = 24, broadcast_rows: int = 1_000_000, settle_after: int = 4):
+    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, width: int = 5, percent: int = 80, sketch_bits: int = 24, broadcast_rows: int = 1_000_000, settle_after: int = 3):
         self.docs = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("t"))
         self.id_type = self.docs.schema["doc_id"].dataType.simpleString()
         self.id_col, self.width, self.percent, self.sketch_bits, self.broadcast_rows, self.settle_after = id_col, width, percent, sketch_bits, broadcast_rows, settle_after
@@ -222,7 +222,6 @@ class NearDuplicates:
         (node, component) that they make."""
         spark = self.docs.sparkSession
         entries, texts = self.entries, self._texts()
-        size = entries.count()
         checked = spark.createDataFrame([], "a long, b long, linked boolean")
         groups = spark.createDataFrame([], "node long, component long")
         for turn in range(self.settle_after + 1):
@@ -232,13 +231,12 @@ class NearDuplicates:
                 labelled = entries.withColumn("component", F.col("key"))
             # The leader of a shingle changes from turn to turn; it is the entry whose hash is smallest.
             rank = F.xxhash64("key", F.lit(turn))
-            sides = labelled.groupBy("token", "component").agg(F.count(F.lit(1)).alias("m"), F.min(rank).alias("lead"))
-            tokens = sides.groupBy("token").agg(F.count(F.lit(1)).alias("sides"), F.min("lead").alias("lead"), (F.sum("m") * F.sum("m") - F.sum(F.col("m") * F.col("m"))).alias("twice"))
-            tokens = written(tokens.where("sides > 1").select("token", "lead", "twice"), "mixed-tokens")
-            pairs_left = tokens.agg(F.sum("twice")).first()[0]
-            if not pairs_left:
+            sides = labelled.groupBy("token", "component").agg(F.min(rank).alias("lead"))
+            tokens = sides.groupBy("token").agg(F.count(F.lit(1)).alias("sides"), F.min("lead").alias("lead"))
+            tokens = written(tokens.where("sides > 1").select("token", "lead"), "mixed-tokens")
+            if tokens.isEmpty():
                 break
-            settle = pairs_left // 2 <= 2 * size + 10_000 or turn == self.settle_after
+            settle = turn == self.settle_after  # the same rounds at every size
             # Components only grow, so a shingle that has one component now is settled for good.
             open_entries = written(labelled.join(tokens, "token").select("token", "key", "n", "pos", "component", "lead"), "open-prefixes")
             entries = open_entries.select("token", "key", "n", "pos")
