@@ -25,8 +25,9 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_boilerplate_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the lines that are frequent in their source; one left with no text goes if it had some."""
-    cleaned = line_dedup.drop_boilerplate(docs.withColumn("__had", F.trim(F.coalesce("text", F.lit(""))) != ""), "doc_id", "source", "text")
+    """Documents without the lines that repeat in their source beyond chance; one left with no text goes if it had some."""
+    found = line_dedup.repeated(docs, "source", "text")
+    cleaned = line_dedup.drop_boilerplate(docs.withColumn("__had", F.trim(F.coalesce("text", F.lit(""))) != ""), "doc_id", "source", "text", found=found)
     kept = cleaned.where(~F.col("__had") | (F.trim("text") != "")).drop("__had")
     return kept.withColumn("n_chars", F.length("text").cast("long"))
 

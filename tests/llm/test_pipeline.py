@@ -41,3 +41,22 @@ def test_stages_catch_planted_cases(spark, tmp_path):
     assert 1002 in joined and 1002 not in last and set(joined) - set(last) == {1002}
     pieces = corpus_pipeline.STAGES[-1][1](spark, table, sf)
     assert {r.doc_id for r in pieces.select("doc_id").collect()} == set(last)
+
+
+DOCS = "doc_id long, text string, lang string, source string, n_chars long"
+
+
+def test_line_stage_finds_passages_on_few_per_cent_of_a_source(spark):
+    rng = random.Random(4)
+    passage, other = prose(rng, 60), prose(rng, 12)
+    docs = []
+    for i in range(600):
+        lines = [prose(rng, 30), prose(rng, 20)]
+        lines += [passage] * (i % 33 == 0) + [other] * (i % 100 == 1) + ["Share"] * (i % 60 == 2)
+        docs.append((i, "\n".join(lines), "en", "hot", 1))
+    docs += [(1000 + i, passage + "\n" + prose(rng, 20), "en", "else", 1) for i in range(4)]
+    out = {r.doc_id: r.text for r in corpus_pipeline.drop_boilerplate_lines(spark, spark.createDataFrame(docs, DOCS), "").collect()}
+    gone = {line for i, t, *_ in docs for line in t.split("\n") if line not in out[i].split("\n")}
+    assert gone == {passage, other} and len(out) == len(docs)
+    assert all(out[i] == t for i, t, *_ in docs if i >= 1000)
+    assert all(passage not in t and other not in t for i, t in out.items() if i < 1000)

@@ -11,6 +11,10 @@ filtered in place; beyond that, (page, line) keys meet them in a join that Spark
 
 Lines are compared after trimming white space; blank lines are neither counted nor dropped.
 
+Where a group is a large share of the corpus, no line reaches a ratio fit for a site, and ``repeated`` finds the lines to drop
+by what chance would repeat: a line of few words needs many texts, a long one only ``least_pages``. Copies of a text count
+once, and texts must differ around the line, so that near copies of one text do not make its lines boilerplate.
+
 Edge cases: null text stays null and has no lines; a null host is a host of its own; repeated page ids count as pages
 of their own where text is filtered in place, and share the union of their lines to drop where keys are joined; an empty
 table gives an empty result; all columns of the input come back.
@@ -48,6 +52,43 @@ def boilerplate(pages: DataFrame, host_col: str, text_col: str, *, ratio: float,
     return counts.where(~F.col("all")).join(totals, "host").where(F.col("pages") > ratio * F.col("host_pages")).select("host", "line", "pages", "host_pages")
 
 
+def contexts(text: Column) -> Column:
+    """What tells texts apart: the smallest and the largest hash of its word trigrams, which near copies mostly share, and the hash of all."""
+    words = F.filter(F.split(text, "[ \n]+"), lambda w: w != "")
+
+    def sides(w: Column) -> Column:
+        hashes = F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - 2, F.lit(1))), lambda i: F.xxhash64(F.get(w, i - 1), F.get(w, i), F.get(w, i + 1)))
+        return F.transform(F.array(hashes), lambda h: F.array(F.array_min(h), F.array_max(h)))[0]
+
+    return F.concat(F.transform(F.array(words), sides)[0], F.array(F.xxhash64(text)))
+
+
+def repeated(pages: DataFrame, host_col: str, text_col: str, *, ratio: float = 0.2, per_word: float = 0.1, least_pages: int = 5, least_variety: float = 0.2, broadcast_lines: int = 1_000_000) -> DataFrame:
+    """(host, line, pages, host_pages) for every line that repeats in its host beyond chance; pages are distinct texts.
+
+    A line of n words must stand on more than ``ratio * per_word ** (n - 1)`` of the host's texts, and on ``least_pages`` of them.
+    The texts with the line must show at least ``least_pages`` different contexts, and as many as the part ``least_variety`` of
+    the texts: of texts that share more than the rest of their trigrams, one is a near copy of the other.
+    """
+    host = F.coalesce(F.col(host_col).cast("string"), F.lit(NO_HOST))
+    text = F.col(text_col)
+    lines = F.filter(F.split(F.coalesce(text, F.lit("")), "\n"), lambda x: F.trim(x) != "")
+    n_words = lambda x: F.length(F.trim(x)) - F.length(F.replace(F.trim(x), F.lit(" "), F.lit(""))) + 1
+    keyed = F.array_distinct(F.transform(lines, lambda x: F.struct(line_key(x).alias("line"), F.least(n_words(x), F.lit(50)).alias("words"))))
+    counts = pages.select(host.alias("host"), F.explode(keyed).alias("k")).groupBy("host", "k.line", "k.words").agg(F.count(F.lit(1)).alias("rows"))
+    often = written(counts.where(F.col("rows") >= least_pages).select("host", "line", "words"), "repeated-lines")
+    side = F.broadcast(often) if small_enough(often, broadcast_lines) else often
+    # Contexts come before the lines are dealt out, so that a text is hashed once.
+    rows = pages.where(text.isNotNull()).select(host.alias("host"), contexts(text).alias("c"), line_keys(text).alias("lines"))
+    entries = rows.select("host", "c", F.explode("lines").alias("line")).join(side, ["host", "line"])
+    told = entries.select("host", "line", "words", F.posexplode("c").alias("kind", "sign")).distinct()
+    n = lambda k: F.count_if(F.col("kind") == k)
+    told = told.groupBy("host", "line", "words").agg(F.greatest(n(0), n(1)).alias("contexts"), n(2).alias("pages"))
+    totals = pages.groupBy(host.alias("host")).agg(F.count_distinct(F.xxhash64(text)).alias("host_pages"))
+    found = told.join(totals, "host").where((F.col("pages") >= least_pages) & (F.col("pages") > ratio * F.pow(F.lit(per_word), F.col("words") - 1) * F.col("host_pages")))
+    return found.where((F.col("contexts") >= least_pages) & (F.col("contexts") >= least_variety * F.col("pages"))).select("host", "line", "pages", "host_pages")
+
+
 def drop_lines(text: Column, keys: Column) -> Column:
     kept = F.filter(F.split(text, "\n"), lambda x: (F.trim(x) == "") | ~F.array_contains(keys, line_key(x)))
     return F.when(F.size(keys) > 0, F.array_join(kept, "\n")).otherwise(text)
