@@ -60,3 +60,19 @@ def test_line_stage_finds_passages_on_few_per_cent_of_a_source(spark):
     assert gone == {passage, other} and len(out) == len(docs)
     assert all(out[i] == t for i, t, *_ in docs if i >= 1000)
     assert all(passage not in t and other not in t for i, t in out.items() if i < 1000)
+
+
+def test_line_stage_leaves_one_of_a_group_of_copies_to_the_next(spark):
+    rng = random.Random(5)
+    clean, near = prose(rng, 40) + "\n" + prose(rng, 30), [prose(rng, 100) for _ in range(3)]
+    boiler = prose(rng, 10)
+    docs = [(i, clean, "en", "small", 1) for i in range(5)] + [(i, prose(rng, 60) + "\n" + prose(rng, 30), "en", "small", 1) for i in range(5, 24)]
+    docs += [(100 + i, "\n".join([*near, prose(rng, 2)]), "en", "near", 1) for i in range(40)] + [(200 + i, prose(rng, 60) + "\n" + boiler, "en", "near", 1) for i in range(8)]
+    docs += [(300 + i, docs[-1][1], "en", "near", 1) for i in range(50)]
+    lines = corpus_pipeline.written(corpus_pipeline.drop_boilerplate_lines(spark, spark.createDataFrame(docs, DOCS), ""), "copies")
+    out = {r.doc_id: r.text for r in lines.collect()}
+    assert len(out) == len(docs) and all(out[i] == t for i, t, *_ in docs if i < 200)
+    assert not any(boiler in t for i, t in out.items() if i >= 200)
+    kept = {r.doc_id: r.text for r in corpus_pipeline.keep_one_of_each_group(spark, lines, "").collect()}
+    assert kept[0] == clean and not {1, 2, 3, 4} & set(kept) and set(range(5, 24)) <= set(kept)
+    assert kept[100] == out[100] and set(kept) & set(range(101, 140)) == set() and set(kept) & set(range(300, 350)) == set()
