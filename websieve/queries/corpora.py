@@ -245,7 +245,15 @@ def x_benchmark_hits(spark, sf):
 
 
 def e_analogy_vectors(spark, sf):
-    vectors = table(spark, sf, "embeddings").where("vec_id < 200").select(F.col("vec_id").cast("string").alias("word"), F.col("embedding").cast("array<double>").alias("vec"))
+    return _analogies(spark, table(spark, sf, "embeddings").where("vec_id < 200"))
+
+
+def e_analogy_vectors_all(spark, sf):
+    return _analogies(spark, table(spark, sf, "embeddings"))
+
+
+def _analogies(spark, embeddings):
+    vectors = embeddings.select(F.col("vec_id").cast("string").alias("word"), F.col("embedding").cast("array<double>").alias("vec"))
     ask = spark.createDataFrame([(str(a), str(a + 1), str(a + 2), "any") for a in range(0, 30, 3)], "a string, b string, c string, kind string")
     return evaluation.analogy_nearest(vectors, ask).select("a", "b", "c", "word")
 
@@ -268,7 +276,7 @@ def e_transfer(spark, sf):
 CALLS = {f.__name__: f for f in (
     pipeline_curate, pipeline_curate_arrays, pipeline_no_lm, pipeline_lid_first, pipeline_two_passes, pipeline_snapshots, pipeline_conversations, w_file_plan, w_chunk_plan, w_cap_corpus, w_manifest, w_rebuild, w_audit, w_sink_roundtrip,
     bl_line_corpus, bl_curated, bl_url_allowlist, bl_rules, bl_raw, bl_random_split, bl_doc_dedup, x_remaining_curve, x_remaining_drop_all, x_duplicate_share, x_docs_removed, x_hashset_cost, x_hashset_cost_sketch,
-    x_order_ratio, x_order_transitions, x_capacity_plan, x_stage_share, x_language_stats, x_languages_over, x_log_histogram, x_top_languages, x_size_vs_target, x_benchmark_hits, e_analogy_vectors, e_suffix_pairs, e_bucket_table, e_transfer,
+    x_order_ratio, x_order_transitions, x_capacity_plan, x_stage_share, x_language_stats, x_languages_over, x_log_histogram, x_top_languages, x_size_vs_target, x_benchmark_hits, e_analogy_vectors, e_analogy_vectors_all, e_suffix_pairs, e_bucket_table, e_transfer,
 )}
 
 _KEPT = f"""{sql_kept('1')}, kept AS (

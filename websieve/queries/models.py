@@ -162,8 +162,15 @@ SQL_BUCKETED = f"{SQL_CUTS}, bucketed AS (SELECT s.*, {SQL_BUCKET} AS bucket FRO
 
 
 def l_char_ngrams(spark, sf):
-    grams = lid.char_ngrams(documents(spark, sf).where("doc_id < 200"), 2, 3)
-    return grams.groupBy("doc_id").agg(F.count(F.lit(1)).alias("kinds"), F.sum("n").alias("n"))
+    return _gram_sums(documents(spark, sf).where("doc_id < 200"))
+
+
+def l_char_ngrams_all(spark, sf):
+    return _gram_sums(documents(spark, sf))
+
+
+def _gram_sums(docs):
+    return lid.char_ngrams(docs, 2, 3).groupBy("doc_id").agg(F.count(F.lit(1)).alias("kinds"), F.sum("n").alias("n"))
 
 
 def l_ngram_topk(spark, sf):
@@ -237,7 +244,19 @@ def t_word_tokens(spark, sf):
 
 
 def t_char_tokens(spark, sf):
-    return lm.sentences(lid_test(spark, sf).where("doc_id < 200"), lm.chars).groupBy("doc_id").agg(F.sum(F.size("toks")).cast("long").alias("n_tokens"))
+    return _char_sums(lid_test(spark, sf).where("doc_id < 200"))
+
+
+def t_word_tokens_all(spark, sf):
+    return lm.sentences(documents(spark, sf)).select("doc_id", "para_no", F.array_join("toks", " ").alias("tokens"))
+
+
+def t_char_tokens_all(spark, sf):
+    return _char_sums(documents(spark, sf))
+
+
+def _char_sums(docs):
+    return lm.sentences(docs, lm.chars).groupBy("doc_id").agg(F.sum(F.size("toks")).cast("long").alias("n_tokens"))
 
 
 def _counts(spark, sf, order=3):
@@ -417,7 +436,7 @@ def x_lm_train_size(spark, sf):
 
 CALLS = {f.__name__: f for f in (
     l_char_ngrams, l_ngram_topk, l_train_counts, l_flat_scores, l_tree_scores, l_tree_logistic, l_score_map, l_best, l_accept, l_discarded, l_split_counts, l_paragraph_level, l_confusion,
-    t_word_tokens, t_char_tokens, m_ngram_counts, m_adjusted_counts, m_discounts, m_discounts_single, m_kn_model, m_kn_model_5, m_kn_single, m_kn_pruned, m_addk_model, m_ml_model, m_paragraph_ppl, m_paragraph_ppl_arrays,
+    l_char_ngrams_all, t_word_tokens_all, t_char_tokens_all, t_word_tokens, t_char_tokens, m_ngram_counts, m_adjusted_counts, m_discounts, m_discounts_single, m_kn_model, m_kn_model_5, m_kn_single, m_kn_pruned, m_addk_model, m_ml_model, m_paragraph_ppl, m_paragraph_ppl_arrays,
     m_document_ppl, m_document_ppl_variants, m_custom_target, b_ntile, b_assign, b_sizes, b_by_chars, b_by_tokens, b_keep_head, b_max_ppl, b_no_model, x_ppl_histogram, x_ppl_spread, x_bucket_profile, x_bucket_quality, x_auc, x_auc_binned, x_macro_accuracy, x_lm_train_size,
 )} | {"b_thresholds_exact": _cuts_query(), "b_thresholds_sketch": _cuts_query(method="sketch"), "b_global_cut": _cuts_query(per_language=False)}
 

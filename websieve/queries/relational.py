@@ -73,8 +73,17 @@ def _joined(how, sql_how):
     CALLS[f"r_join_{how}"], ORACLES[f"r_join_{how}"] = call, sql
 
 
+def _joined_whole(how, sql_how):
+    def call(spark, sf):
+        c, o = table(spark, sf, "customer").select("c_custkey"), table(spark, sf, "orders").select("o_orderkey", "o_custkey")
+        return c.join(o, c.c_custkey == o.o_custkey, how).select("c_custkey", "o_orderkey")
+
+    CALLS[f"r_join_{how}_all"], ORACLES[f"r_join_{how}_all"] = call, f"SELECT c_custkey, o_orderkey FROM customer {sql_how} JOIN orders ON c_custkey = o_custkey"
+
+
 for _how, _sql in (("inner", ""), ("left", "LEFT"), ("right", "RIGHT"), ("full", "FULL")):
     _joined(_how, _sql)
+    _joined_whole(_how, _sql)
 
 
 @case("SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
