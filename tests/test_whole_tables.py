@@ -5,7 +5,11 @@ from __future__ import annotations
 import math
 from collections import Counter
 
+from pyspark.sql import functions as F
+
+from websieve.operators import evaluation, lm
 from websieve.queries import CALLS
+from websieve.queries import models as q
 
 TEXTS = {3: "Ab ab", 4: "One two\nthree", 250: "xyzxyz", 901: "Short\nlines here", 902: ""}
 
@@ -36,3 +40,28 @@ def test_joins_take_every_row(spark, tmp_path):
     right = both | {(None, o) for o, c in orders if not 1 <= c <= 6}
     for how, want in (("inner", both), ("left", both), ("right", right), ("full", right)):
         assert {tuple(r) for r in CALLS[f"r_join_{how}_all"](spark, sf).collect()} == want
+
+
+SMALL = "/root/testdata/sf0.001"
+
+
+def test_transfer_compares_with_the_head_at_the_size_of_the_target(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(evaluation, "transfer", lambda corpora, dev, **given: seen.append((corpora, given)) or spark.createDataFrame([("target", 0.0)], "corpus string, accuracy double"))
+    assert {r.lang for r in CALLS["e_transfer"](spark, SMALL).collect()} == {"en", "fr"}
+    target = q.target(spark, SMALL)
+    outside = lm.outside(q.lid_train(spark, SMALL), target)
+    ppl = lm.document_ppl(lm.score_by_join(lm.sentences(outside), q.word_model(spark, SMALL), 3))
+    rows = {(r.lang, r.doc_id): r.ppl for r in ppl.collect()}
+    for lang, (given, options) in zip(("en", "fr"), seen):
+        mine = sorted((p, i) for (of, i), p in rows.items() if of == lang)
+        head = {r.doc_id for r in given["crawl"].collect()}
+        assert head and abs(len(head) - len(mine) / 3) <= 1 and head == {i for _, i in mine[: len(head)]}
+        n_bytes = target.where(F.col("lang") == lang).agg(F.sum(F.octet_length("text"))).first()[0]
+        assert options["cap_bytes"] == n_bytes and options["dim"] == 300
+
+
+def test_bucket_table_has_both_languages_at_full_width(spark, monkeypatch):
+    dims = []
+    monkeypatch.setattr(evaluation, "bucket_table", lambda docs, dim: dims.append(dim) or docs.select("bucket").distinct())
+    assert {r.lang for r in CALLS["e_bucket_table"](spark, SMALL).collect()} == {"en", "fr"} and dims == [300, 300]

@@ -6,7 +6,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import html, urls
-from ..operators import baselines, dedup, evaluation, lid, lm, metrics, output, paragraphs, replay
+from ..operators import baselines, buckets, dedup, evaluation, lid, lm, metrics, output, paragraphs, replay
 from ..plans import pipeline
 from ..sources import pages as page_io
 from ..sources.pages import materialize
@@ -262,15 +262,37 @@ def e_suffix_pairs(spark, sf):
     return evaluation.suffix_pairs(table(spark, sf, "documents").where("lang = 'en'"), 20)
 
 
+def _by_language(run):
+    """The union of ``run`` (lang) over both languages, with the language in front."""
+    parts = [run(lang).select(F.lit(lang).alias("lang"), "*") for lang in ("en", "fr")]
+    return parts[0].unionByName(parts[1])
+
+
 def e_bucket_table(spark, sf):
-    return evaluation.bucket_table(q.bucketed(spark, sf).join(q.lid_test(spark, sf).select("doc_id", "text"), "doc_id").where("lang = 'en'"), dim=16)
+    docs = materialize(q.bucketed(spark, sf).join(q.lid_test(spark, sf).select("doc_id", "text"), "doc_id").select("doc_id", "lang", "text", "bucket"), "bucketed")
+    return _by_language(lambda lang: evaluation.bucket_table(docs.where(F.col("lang") == lang), dim=300))
+
+
+def _head_crawl(spark, sf, target):
+    """(doc_id, lang, text) of the head bucket of even documents outside the target corpus, cut by perplexity under its model."""
+    crawl = lm.outside(q.lid_train(spark, sf), target).select("doc_id", "lang", "text")
+    scores = materialize(lm.document_ppl(lm.score_by_join(lm.sentences(crawl), q.word_model(spark, sf, corpus=target), 3)), "crawl-scores")
+    head = buckets.select(buckets.assign(scores, buckets.thresholds(scores)), ("head",)).select("doc_id")
+    return crawl.join(head, "doc_id", "left_semi")
 
 
 def e_transfer(spark, sf):
-    target = q.target(spark, sf).where("lang = 'en'")
-    crawl = lm.outside(q.lid_train(spark, sf), target).where("lang = 'en'").select("doc_id", "lang", "text")
-    dev = table(spark, sf, "labels").join(q.lid_test(spark, sf).where("lang = 'en'"), "doc_id").select("lang", "text", F.col("quality").alias("label"))
-    return evaluation.transfer({"target": target, "crawl": crawl}, dev, cap_bytes=400_000, steps=10, dim=16)
+    """The learner on the target corpus and on the head of the filtered crawl, which gets as many bytes as the target corpus has."""
+    target = materialize(q.target(spark, sf), "target")
+    head = materialize(_head_crawl(spark, sf, target), "head-crawl")
+    dev = table(spark, sf, "labels").join(q.lid_test(spark, sf), "doc_id").select("lang", "text", F.col("quality").alias("label"))
+    n_bytes = {r.lang: r.n for r in target.groupBy("lang").agg(F.sum(F.octet_length("text")).alias("n")).collect()}
+
+    def run(lang):
+        mine = [df.where(F.col("lang") == lang) for df in (target, head, dev)]
+        return evaluation.transfer({"target": mine[0], "crawl": mine[1]}, mine[2], cap_bytes=n_bytes.get(lang, 0), steps=10, dim=300)
+
+    return _by_language(run)
 
 
 CALLS = {f.__name__: f for f in (
