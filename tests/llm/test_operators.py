@@ -304,3 +304,19 @@ def test_vector_search_equals_brute_force(spark):
             truth += [(q, k + 1, i, -s) for k, (s, i) in enumerate(scores)]
     assert sorted((r.query_id, r.rank, r.vec_id, r.score) for r in got) == sorted(truth)
     assert vector_search.top_k(table.limit(0), F.col("vec_id") % 50 == 0).count() == 0
+
+
+def test_toxicity_counts_every_learnable_text(spark):
+    rng = random.Random(6)
+    rows = [(i, prose(rng, 12) + (" zzkrow" if i % 4 == 0 else ""), int(i % 4 == 0)) for i in range(200)]
+    residue = id_residue(F.col("doc_id"), 4)
+    table = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    calibrating = {r.doc_id for r in table.where(residue == 3).collect()}
+    rows = [(i, t + " qqvvx" if y and i in calibrating else t, y) for i, t, y in rows]
+    table = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    models = toxicity.fit(table.select("doc_id", "text"), table.select("doc_id", "toxic"), residue != 2, residue == 3).language_models
+    learnable = {r.doc_id for r in table.where(residue != 2).collect()}
+    ends = [len(w) + 1 for i, t, _ in rows if i in learnable for w in t.split()]
+    assert models.own["count_toxic"].sum() + models.own["count_ordinary"].sum() == sum(ends)
+    grams = {("\0" * 4 + w + "\0")[k : k + 5] for i, t, _ in rows if i in learnable for w in t.split() for k in range(len(w) + 1)}
+    assert len(models.keys["gram5"]) == len(grams) and models.ratios(pa.array(["qqvvx"]))[0] > 3

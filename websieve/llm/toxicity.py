@@ -3,10 +3,10 @@
 The models of toxic and of ordinary texts have their own counts of letter 5-grams; when a 5-gram is rare
 both back off to the same lower orders, which count in how many contexts a shorter n-gram occurs in the
 texts of both classes. So an expression that neither class knows scores alike under both, and one that only
-toxic texts use is known by its parts. Counts live in a fixed number of hashed slots, so the model's size is
-bounded whatever is counted. A word's score is the log-likelihood ratio; a text's features are the mean
+toxic texts use is known by its parts. Counts are kept for each distinct n-gram, so the model grows with their number. A word's score is the log-likelihood ratio; a text's features are the mean
 ratio (log-likelihoods normalised by length), the largest one, and the mass of high ones. A logistic
-regression over these turns them into a probability; it is fitted on labelled texts that the counts left out.
+regression over these turns them into a probability; it is fitted on labelled texts that the counts left out,
+and then the counts are taken anew over all labelled texts.
 
 Edge cases: null and empty texts have no words, all features 0, and get the score of such a text; rows
 without label are not learned from; with fewer than two classes to learn from the score is the share of
@@ -28,7 +28,6 @@ from pyspark.sql.types import DoubleType, StructField, StructType
 from .common import Words, map_batches, slices, small_enough, written
 
 ORDER = 5
-SLOT_BITS = 19
 TRIM = ".,;:!?|()[]{}\"'*#$%&-"
 STEPS = [np.uint64(pow(0x9E3779B97F4A7C15, t, 1 << 64)) for t in range(1, ORDER + 1)]
 MIX = np.uint64(0xD6E8FEB86659FD93)
@@ -55,19 +54,23 @@ def letter_grams(words: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return grams, contexts, owner
 
 
-def slot(keys: np.ndarray) -> np.ndarray:
-    return (keys >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
-
-
 @dataclass
 class KneserNey:
-    """Slot tables. ``own`` has for each class the counts of 5-grams, of their contexts and the number of kinds
+    """Tables by n-gram: ``keys`` has the rising hashes of each order's n-grams and contexts, the others a value for each and a last
+    one, 0, for those not met. ``own`` has for each class the counts of 5-grams, of their contexts and the number of kinds
     that follow a context; ``shared`` has for each lower order the same for context-type counts."""
 
+    keys: dict[str, np.ndarray] = field(default_factory=dict)
     own: dict[str, np.ndarray] = field(default_factory=dict)
     shared: dict[str, np.ndarray] = field(default_factory=dict)
     discount: float = 0.75
 
+    def places(self, name: str, hashes: np.ndarray) -> np.ndarray:
+        keys = self.keys[name]
+        at = np.searchsorted(keys, hashes)
+        met = keys[np.minimum(at, len(keys) - 1)] == hashes if len(keys) else np.zeros(len(hashes), bool)
+        return np.where(met, at, len(keys))
+
     def ratios(self, words: pa.Array) -> np.ndarray:
         """Log-likelihood ratio, toxic to ordinary, of each word."""
         out = np.zeros(len(words))
@@ -77,11 +80,11 @@ class KneserNey:
         d = self.discount
         p = np.full(len(owner), 1.0 / 512)
         for k in range(1, ORDER):
-            count, context = slot(grams[k - 1]), slot(contexts[k - 1])
+            count, context = self.places(f"gram{k}", grams[k - 1]), self.places(f"context{k}", contexts[k - 1])
             total = np.maximum(self.shared[f"total{k}"][context], 1.0)
             kinds = self.shared[f"kinds{k}"][context]
             p = np.maximum(self.shared[f"count{k}"][count] - d, 0.0) / total + np.where(kinds > 0, d * kinds / total, 1.0) * p
-        count, context = slot(grams[ORDER - 1]), slot(contexts[ORDER - 1])
+        count, context = self.places(f"gram{ORDER}", grams[ORDER - 1]), self.places(f"context{ORDER}", contexts[ORDER - 1])
         logs = []
         for c in ("toxic", "ordinary"):
             total = np.maximum(self.own[f"total_{c}"][context], 1.0)
@@ -168,18 +171,16 @@ GRAM_COLUMNS = [f"{kind}{k}" for k in range(1, ORDER + 1) for kind in ("gram", "
 
 
 def fit_language_models(labelled: DataFrame) -> KneserNey:
-    """Both models from every labelled row. The driver gets sums by slot, a bounded number of them."""
+    """Both models from every labelled row. The driver gets sums by n-gram, one row for each distinct one."""
     kinds = written(count_grams(labelled), "letter-grams")
-    at = lambda c: F.shiftrightunsigned(c, 64 - SLOT_BITS).alias("slot")
-    size = 1 << SLOT_BITS
+    keys: dict[str, np.ndarray] = {}
 
     def tables(df: DataFrame, key: str, values: dict[str, Column]) -> dict[str, np.ndarray]:
-        got = df.groupBy(at(key)).agg(*(c.alias(name) for name, c in values.items())).toPandas()
-        out = {}
-        for name in values:
-            out[name] = np.zeros(size, np.float32)
-            out[name][got["slot"].to_numpy(np.int64)] = got[name].to_numpy(np.float32)
-        return out
+        got = df.groupBy(key).agg(*(c.alias(name) for name, c in values.items())).toArrow()
+        hashes = got[key].to_numpy().astype(np.int64).view(np.uint64)
+        rising = np.argsort(hashes)
+        keys[key] = hashes[rising]
+        return {name: np.append(got[name].to_numpy()[rising], 0).astype(np.float32) for name in values}
 
     own = tables(kinds, f"gram{ORDER}", {f"count_{c}": F.sum(c) for c in ("toxic", "ordinary")})
     sums = {f"total_{c}": F.sum(c) for c in ("toxic", "ordinary")} | {f"kinds_{c}": F.count_if(F.col(c) > 0) for c in ("toxic", "ordinary")}
@@ -190,14 +191,14 @@ def fit_language_models(labelled: DataFrame) -> KneserNey:
         kinds = written(kinds.groupBy(*columns).agg(F.count(F.lit(1)).alias("n")), f"letter-grams-{k}")
         shared |= tables(kinds, f"gram{k}", {f"count{k}": F.sum("n")})
         shared |= tables(kinds, f"context{k}", {f"total{k}": F.sum("n"), f"kinds{k}": F.count(F.lit(1))})
-    return KneserNey(own, shared)
+    return KneserNey(keys, own, shared)
 
 
 def fit(docs: DataFrame, labels: DataFrame, usable: Column, calibrating: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", *, calibration_rows: int = 40_000, broadcast_rows: int = 5_000_000) -> Classifier:
     """Learn from the labelled rows of ``docs`` whose id fulfils ``usable``.
 
     Rows that also fulfil ``calibrating`` fit the logistic regression (at most ``calibration_rows`` of them,
-    those whose ids have the smallest hashes); all others are counted, without a bound. ``usable`` and
+    those whose ids have the smallest hashes) by models of all others. The models that score count every row, without a bound. ``usable`` and
     ``calibrating`` are conditions on the column named by ``id_col``. The labels (16 bytes a row) are
     broadcast when there are at most ``broadcast_rows`` of them, and joined by a shuffle beyond.
     """
@@ -223,6 +224,7 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, calibrating: Column,
         return Classifier(None, prior)
     x = np.vstack(got["x"].to_list())
     centre, scale = x.mean(axis=0), np.maximum(x.std(axis=0), 1e-6)
+    models = fit_language_models(rows)
     return Classifier(models, prior, centre, scale, logistic((x - centre) / scale, (got["y"].to_numpy() == 1).astype(float)))
 
 
