@@ -13,13 +13,11 @@ from pyspark.sql import functions as F
 
 from websieve.llm import decontamination, line_dedup, ngram_join, packing, toxicity
 from websieve.llm.common import table, without_ids, written
-from websieve.llm.queries import tokenizer_file, toxicity_classifier
-
-TOXIC_FROM = 0.5
+from websieve.llm.queries import TOXIC_FROM, tokenizer_file, toxicity_classifier
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that are less likely toxic than not; the classifier learns as the toxicity query's does."""
+    """Documents that the toxicity query does not call toxic; the classifier learns as the toxicity query's does."""
     scored = toxicity.score(docs, toxicity_classifier(spark, sf_dir), out="__toxicity")
     return scored.where(F.col("__toxicity") < TOXIC_FROM).drop("__toxicity")
 

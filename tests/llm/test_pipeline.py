@@ -5,6 +5,7 @@ from __future__ import annotations
 import random
 
 import corpus_pipeline
+from websieve.llm import toxicity
 
 from .test_operators import prose
 
@@ -76,3 +77,10 @@ def test_line_stage_leaves_one_of_a_group_of_copies_to_the_next(spark):
     kept = {r.doc_id: r.text for r in corpus_pipeline.keep_one_of_each_group(spark, lines, "").collect()}
     assert kept[0] == clean and not {1, 2, 3, 4} & set(kept) and set(range(5, 24)) <= set(kept)
     assert kept[100] == out[100] and set(kept) & set(range(101, 140)) == set() and set(kept) & set(range(300, 350)) == set()
+
+
+def test_pipeline_rejects_what_the_toxicity_query_calls_toxic(spark, monkeypatch):
+    docs = spark.createDataFrame([(1, "some words", "en", "s", 10)], DOCS)
+    for probability, left in ((0.29, 1), (0.3, 0), (0.4, 0)):
+        monkeypatch.setattr(corpus_pipeline, "toxicity_classifier", lambda *_, p=probability: toxicity.Classifier(None, p))
+        assert corpus_pipeline.drop_toxic(spark, docs, "").count() == left

@@ -28,6 +28,10 @@ def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.NearDuplicates(table(spark, sf_dir, "documents")).report().select("doc_id", "n_shingles", "component_id")
 
 
+#: A document counts as toxic from this probability, in the query and in the pipeline.
+TOXIC_FROM = 0.3
+
+
 def toxicity_classifier(spark: SparkSession, sf_dir: str) -> toxicity.Classifier:
     """Learned from labelled rows of the given tables whose residue modulo 4 is not 2; residue 3 calibrates."""
     residue = id_residue(F.col("doc_id"), 4)
@@ -38,7 +42,7 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     scored = toxicity.score(docs, toxicity_classifier(spark, sf_dir), out="score")
     held_out = F.coalesce(id_residue(F.col("doc_id"), 4) == 2, F.lit(False))
-    return scored.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+    return scored.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= TOXIC_FROM).cast("int").alias("predicted"))
 
 
 def op4_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
