@@ -176,18 +176,29 @@ class NearDuplicates:
         return shared.select("token", "key", F.shiftright("place", 32).cast("int").alias("n"), F.col("place").bitwiseAND((1 << 32) - 1).cast("int").alias("pos"))
 
     def _texts(self) -> DataFrame:
-        """(key, text): one text of each class that has a shared prefix shingle."""
+        """(key, text): one text of each class that has a shared prefix shingle. Ids may repeat with other texts or be null, so rows
+        found by id are kept by their own set's key, and classes without an id are looked for among the rows without one."""
         ids = self.entries.select("key").distinct().join(self.classes, "key").select("key", F.col("first_id").alias("doc_id"))
         ids = written(ids, "candidates")
         side = F.broadcast(ids) if small_enough(ids, self.broadcast_rows) else ids
+        width = self.width
 
         def squeeze(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for part in slices(batch, 1):
-                    yield pa.RecordBatch.from_arrays([part.column(0), pa.array([zlib.compress(x.as_py().encode("utf-8", "surrogatepass"), 3) for x in part.column(1)], pa.binary())], ["key", "text"])
+                    own = np.fromiter((set_key(s) for s in shingle_sets(part.column(1), width)), np.uint64, part.num_rows).view(np.int64)
+                    asked = part.column(0).fill_null(0).to_numpy()
+                    kept = pa.array((asked == own) | part.column(0).is_null().to_numpy(zero_copy_only=False))
+                    texts = part.column(1).filter(kept)
+                    yield pa.RecordBatch.from_arrays([pa.array(own).filter(kept), pa.array([zlib.compress(x.as_py().encode("utf-8", "surrogatepass"), 3) for x in texts], pa.binary())], ["key", "text"])
 
         found = self.docs.join(side, "doc_id").select("key", "t")
-        return written(map_batches(found, squeeze, "key long, text binary"), "candidate-texts").dropDuplicates(["key"])
+        nameless = ids.where("doc_id IS NULL").select("key")
+        if nameless.isEmpty():
+            return written(map_batches(found, squeeze, "key long, text binary"), "candidate-texts").dropDuplicates(["key"])
+        found = found.unionByName(self.docs.where("doc_id IS NULL AND t IS NOT NULL").select(F.lit(None).cast("long").alias("key"), "t"))
+        keyed = written(map_batches(found, squeeze, "key long, text binary"), "candidate-texts")
+        return keyed.join(ids.select("key"), "key", "left_semi").dropDuplicates(["key"])
 
     def _pairs(self, met: DataFrame) -> DataFrame:
         """(a, b, tokens) of pairs (a, n_a, pos_a, b, n_b, pos_b, ...) that pass the length and positional filters. The
