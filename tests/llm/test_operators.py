@@ -320,3 +320,29 @@ def test_toxicity_counts_every_learnable_text(spark):
     assert models.own["count_toxic"].sum() + models.own["count_ordinary"].sum() == sum(ends)
     grams = {("\0" * 4 + w + "\0")[k : k + 5] for i, t, _ in rows if i in learnable for w in t.split() for k in range(len(w) + 1)}
     assert len(models.keys["gram5"]) == len(grams) and models.ratios(pa.array(["qqvvx"]))[0] > 3
+
+
+def test_join_verifies_classes_without_id_and_ids_of_several_texts(spark):
+    rng = random.Random(8)
+    words = [prose(rng, 1) + str(i) for i in range(200)]
+    # 7 and 9 are linked only through the row without an id.
+    ends = [" ".join(words[:186]), " ".join(words), " ".join(words[14:])]
+    table = spark.createDataFrame([(7, ends[0]), (None, ends[1]), (9, ends[2])], "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in ngram_join.NearDuplicates(table, percent=90).report().collect()}
+    assert got[7] == got[9] == 7
+    # One id with two texts: each is verified by its own.
+    one, other = [" ".join(prose(rng, 1) + str(k) for k in range(100)) for _ in range(2)]
+    for order in ((one, other), (other, one)):
+        table = spark.createDataFrame([(1, order[0]), (1, order[1]), (5, one + " end"), (6, other + " end")], "doc_id long, text string")
+        got = {r.doc_id: r.component_id for r in ngram_join.NearDuplicates(table).report().collect()}
+        assert got[5] == got[6] == 1
+
+
+def test_mixture_of_more_than_three_languages(spark):
+    rng = random.Random(3)
+    alphabets = ["abcde", "fghij", "klmno", "pqrst", "uvwxy"]
+    training = [(prose(rng, 300, a), f"l{k}") for k, a in enumerate(alphabets)]
+    model = language_mixture.fit(spark.createDataFrame(training, "text string, lang string"))
+    _, score, share = model.infer(pa.array([" ".join(prose(rng, 60, a) for a in alphabets), prose(rng, 60, "abcde"), " ".join(prose(rng, 60, a) for a in alphabets[:4])]), 9, 1.0)
+    assert np.abs(share[0] - 0.2).max() < 0.03 and abs(score[0] - 0.2) < 0.03
+    assert share[1][0] > 0.99 and np.abs(share[2][:4] - 0.25).max() < 0.03 and share[2][4] < 0.01

@@ -4,7 +4,7 @@ Each language has a distribution over letter trigrams (a letter and its two neig
 word's ends being marks of their own), counted over all training texts in a fixed number of hashed slots.
 A document is a mixture of languages: expectation-maximisation over its words finds the proportions, a
 word's likelihood under a language being the product over its trigrams. Sets of one, two, ... of the
-likeliest languages are then compared by likelihood less a penalty for each language, and the largest
+likeliest languages, as many as improve it, are then compared by likelihood less a penalty for each language, and the largest
 share in the chosen set is the prediction.
 
 Edge cases: null texts and texts without a letter are ``und`` with score 0; rows without language are not
@@ -101,21 +101,30 @@ def maximise(p: np.ndarray, row: np.ndarray, starts: np.ndarray, n: np.ndarray,
     return share, np.add.reduceat(np.log(np.maximum((p * share[row]).sum(axis=1), 1e-300)), starts)
 
 
-def choose_set(p: np.ndarray, row: np.ndarray, starts: np.ndarray, n: np.ndarray, rounds: int, penalty: float, largest: int = 3) -> np.ndarray:
-    """Shares under the language set whose penalised likelihood is highest."""
+def choose_set(p: np.ndarray, row: np.ndarray, starts: np.ndarray, n: np.ndarray, rounds: int, penalty: float) -> np.ndarray:
+    """Shares under the language set whose penalised likelihood is highest. Sets of up to three are always tried, larger ones for the
+    texts that the last size still improved."""
     n_lang = p.shape[1]
     full, _ = maximise(p, row, starts, n, np.full((len(n), n_lang), 1.0 / n_lang), rounds)
     order = np.argsort(-full, axis=1, kind="stable")
     best, best_value = np.zeros_like(full), np.full(len(n), -np.inf)
-    for size in range(1, min(largest, n_lang) + 1):
-        inside = np.zeros_like(full)
-        np.put_along_axis(inside, order[:, :size], 1.0, axis=1)
-        begin = inside * np.maximum(full, 1e-6)
+    at = np.arange(len(n))  # the texts that are still open
+    for size in range(1, n_lang + 1):
+        if size > 3:
+            going = better
+            if not going.any():
+                break
+            p, row = p[going[row]], (np.cumsum(going) - 1)[row[going[row]]]
+            at, n = at[going], n[going]
+            starts = np.concatenate([[0], np.cumsum(n)])[:-1]
+        inside = np.zeros((len(at), n_lang))
+        np.put_along_axis(inside, order[at, :size], 1.0, axis=1)
+        begin = inside * np.maximum(full[at], 1e-6)
         begin /= begin.sum(axis=1, keepdims=True)
         share, value = maximise(p, row, starts, n, begin, 0 if size == 1 else max(1, rounds // 3))
         value = value - penalty * (size - 1) * np.log(n + 1.0)
-        better = value > best_value
-        best[better], best_value[better] = share[better], value[better]
+        better = value > best_value[at]
+        best[at[better]], best_value[at[better]] = share[better], value[better]
     return best
 
 
