@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import os
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -33,9 +36,12 @@ def workers_see_package(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; one of our own only when the session names none."""
+    """The folder named by ``spark.checkpoint.dir``. Where none is set, a local master gets a temporary one; on a cluster that is an
+    error, for such a folder would be seen by one machine only."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not where:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         where = "file://" + tempfile.mkdtemp(prefix="websieve-")
     if not spark.sparkContext.getCheckpointDir():
         spark.sparkContext.setCheckpointDir(where)
@@ -49,6 +55,7 @@ def shared_path(spark: SparkSession, label: str) -> str:
 def written(df: DataFrame, label: str) -> DataFrame:
     """Write a table to the shared folder and read it again: cuts lineage and survives lost executors."""
     path = shared_path(df.sparkSession, label)
+    bound_batches(df.sparkSession)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
@@ -60,13 +67,38 @@ def small_enough(df: DataFrame, rows: int) -> bool:
 
 def without_ids(df: DataFrame, id_col: str, ids: DataFrame, broadcast_rows: int = 1_000_000) -> DataFrame:
     """Rows of ``df`` whose id is not in ``ids`` (one column, no nulls); the ids are broadcast when they are few."""
-    ids = written(ids.toDF("__gone"), "ids")
+    gone = fresh("gone", df.columns)
+    ids = written(ids.toDF(gone), "ids")
     side = F.broadcast(ids) if small_enough(ids, broadcast_rows) else ids
-    return df.join(side, F.col(id_col) == F.col("__gone"), "left_anti")
+    return df.join(side, F.col(f"`{id_col}`") == F.col(gone), "left_anti")
+
+
+def without_rows(df: DataFrame, id_col: str, text_col: str, rows: DataFrame, broadcast_rows: int = 1_000_000) -> DataFrame:
+    """Rows of ``df`` that are not in ``rows`` (doc_id, own), ``own`` being the text's xxhash64: rows of one id with other texts, and
+    rows without id, are told apart."""
+    gone, own = fresh("gone", df.columns), fresh("gone_own", df.columns)
+    rows = written(rows.select(F.col("doc_id").alias(gone), F.col("own").alias(own)).distinct(), "rows")
+    side = F.broadcast(rows) if small_enough(rows, broadcast_rows) else rows
+    same = (F.xxhash64(F.col(f"`{text_col}`")) == F.col(own)) & F.col(f"`{id_col}`").eqNullSafe(F.col(gone))
+    return df.join(side, same, "left_anti")
 
 
 def ascii_lower(text: Column) -> Column:
-    return F.translate(text, UPPER, LOWER)
+    """Letters A to Z in lower case. Where a text has no others, the faster general function does the same."""
+    return F.when(F.octet_length(text) == F.length(text), F.lower(text)).otherwise(F.translate(text, UPPER, LOWER))
+
+
+def let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use(value)`` with the value computed once, also where ``use`` names it many times or inside a lambda."""
+    return F.transform(F.array(value), use)[0]
+
+
+def fresh(name: str, taken: list[str]) -> str:
+    """A column name like ``name`` that is not taken, whatever the input's columns are called."""
+    lower = {c.lower() for c in taken}
+    while name.lower() in lower:
+        name += "_"
+    return name
 
 
 def id_residue(doc_id: Column, modulus: int) -> Column:
@@ -75,11 +107,43 @@ def id_residue(doc_id: Column, modulus: int) -> Column:
 
 
 def map_batches(df: DataFrame, function: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: StructType | str) -> DataFrame:
+    """``df.mapInArrow`` in batches of bounded bytes, whose workers give their free memory back when a task ends: they live on beside
+    the next tasks."""
     workers_see_package(df.sparkSession)
-    return df.mapInArrow(function, schema)
+    bound_batches(df.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from function(batches)
+        finally:
+            give_back_memory()
+
+    return df.mapInArrow(run, schema)
+
+
+# Rows a batch of the Parquet reader, and bytes a batch between the JVM and Python workers: texts are long, so the defaults (4096 rows,
+# 64 MB) make arrays of tens of megabytes for each task.
+BATCH_SETTINGS = {"spark.sql.parquet.columnarReaderBatchSize": 1024, "spark.sql.execution.arrow.maxBytesPerBatch": 4 << 20}
+
+
+def bound_batches(spark: SparkSession) -> None:
+    """Lower the session's batch settings where they are higher; a single long text still makes a batch of its own."""
+    for name, most in BATCH_SETTINGS.items():
+        now = spark.conf.get(name, None)
+        if now is None or not now.rstrip("bB").isdigit() or int(now.rstrip("bB")) > most:
+            spark.conf.set(name, str(most))
+
+
+def give_back_memory() -> None:
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
 
 
-def slices(batch: pa.RecordBatch, text: int, most_bytes: int = 6 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, text: int, most_bytes: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """Cut a batch where its texts (column ``text``) add up to about ``most_bytes``; one long text stays whole."""
     sizes = pc.fill_null(pc.binary_length(batch.column(text)), 0).to_numpy(zero_copy_only=False)
     ends, begun, at = np.cumsum(sizes, dtype=np.int64), 0, 0
@@ -114,11 +178,12 @@ class Words:
 
 
 class BoundedCache(dict):
-    """A dict of at most ``most`` entries in two generations: the older half goes when the younger is full."""
+    """A dict of strings to small values in two generations: the older half goes when the younger is full. Both together hold about
+    ``most_bytes``, each entry being taken for the length of its key and ``entry_bytes``."""
 
-    def __init__(self, most: int):
+    def __init__(self, most_bytes: int, entry_bytes: int = 180):
         super().__init__()
-        self.half, self.old = max(1, most // 2), {}
+        self.half, self.entry_bytes, self.held, self.old = max(1, most_bytes // 2), entry_bytes, 0, {}
 
     def recall(self, key):
         """The value of a key that the younger half may have lost, or None."""
@@ -127,7 +192,11 @@ class BoundedCache(dict):
         return value
 
     def put(self, key, value) -> None:
-        if len(self) >= self.half:
+        cost = self.entry_bytes + len(key)
+        if self.held + cost > self.half:
             self.old = dict(self)
             self.clear()
-        self[key] = value
+            self.held = 0
+        self.held += cost
+        if cost <= self.half:
+            self[key] = value

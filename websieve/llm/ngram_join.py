@@ -1,11 +1,12 @@
 """Near duplicates by a Jaccard join over word n-grams with prefix filtering.
 
 A text's set is its distinct n-word shingles. Texts with equal sets form a class and go on as one. Shingles are
-put in one global order, rare first: by a count over all documents, kept in a table of fixed size (2 bytes for each of 2**24
-slots: 32 MB), then by hash. Two sets whose Jaccard similarity reaches the threshold share a shingle among the first few of each (the
+put in one global order, rare first: by a count over all documents, on a logarithmic scale and kept in a table of fixed size (1 byte
+for each of 2**22 slots), then by hash; any order gives the same links. Two sets whose Jaccard similarity reaches the threshold share a shingle among the first few of each (the
 prefix), so only classes that share a prefix shingle are candidates. Candidates pass the length filter, the positional
-filter (what can still be shared after the first common shingle) and, before their sets are intersected, the
-suffix filter (a lower bound of the sets' difference from counts between pivots). Each pair is verified once, exactly.
+filter (what can still be shared after the first common shingle) and the suffix filter (a lower bound of the sets' difference
+from counts between pivots, for which each class carries a signature of a byte for some 8 shingles). Only then texts are moved,
+and each pair is verified once, exactly.
 
 What is asked for is which documents are connected, so a pair that is known to be connected already needs no
 verification. Rounds first verify, for each class, the pair with the leader of most of its prefix shingles; the links found
@@ -14,8 +15,9 @@ rounds, the same at every size, all pairs that are left are verified. Groups of
 for each pair of copies, and no link between components is missed, at any number of rounds.
 
 Edge cases: null, empty and blank texts have no shingles and are components of their own; texts of fewer words than a shingle
-are one shingle; repeated rows of an id are joined to the same component; null ids are left out of the component's name unless
-alone; an empty table gives an empty result; other columns are ignored.
+are one shingle; rows that repeat an id are rows of their own, each joined by its own text; rows with a null id are joined like others
+but name a component only when alone (null); ties in rarity go by hash; a very long text is held whole by one task, once as text and
+once as 8 bytes a shingle; an empty table gives an empty result; other columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -34,6 +36,7 @@ from .common import Words, map_batches, slices, small_enough, written
 from .components import components
 
 MULTIPLIERS = [np.uint64(pow(0x9E3779B97F4A7C15, t, 1 << 64)) for t in range(1, 34)]
+BLOCKS = 64  # of the rarity table
 MIX_A, MIX_B = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -96,26 +99,55 @@ def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     return len(np.intersect1d(a, b, assume_unique=True)) >= least
 
 
+def signature(s: np.ndarray) -> bytes:
+    """How many shingles of a set lie in each of equal ranges of hashes, about 8 to a range: the counts between pivots that the
+    suffix filter compares, for pivots that are the same in all sets."""
+    bits = signature_bits(len(s))
+    return np.minimum(np.bincount((s >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits), 255).astype(np.uint8).tobytes()
+
+
+def signature_bits(n: int) -> int:
+    return max(1, min(16, (n // 8).bit_length()))
+
+
+def surely_different(a: bytes, b: bytes, most: int) -> bool:
+    """Suffix filter: whether sets with these signatures differ in more than ``most`` elements for certain. The finer signature is
+    made as coarse as the other; counts that stop at 255 can only bring the bound down."""
+    x, y = np.frombuffer(a, np.uint8).astype(np.int32), np.frombuffer(b, np.uint8).astype(np.int32)
+    if len(x) != len(y):
+        if 255 in (x if len(x) > len(y) else y):  # a count that stopped may not be added up
+            return False
+        x, y = (x.reshape(len(y), -1).sum(axis=1), y) if len(x) > len(y) else (x, y.reshape(len(x), -1).sum(axis=1))
+        x, y = np.minimum(x, 255), np.minimum(y, 255)
+    return int(np.abs(x - y).sum()) > most
+
+
 class NearDuplicates:
     """The join of one table of documents with itself."""
 
-    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, width: int = 5, percent: int = 80, sketch_bits: int = 24, broadcast_rows: int = 1_000_000, settle_after: int = 3):
-        self.docs = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("t"))
+    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, width: int = 5, percent: int = 80, rarity_bits: int = 22, broadcast_rows: int = 1_000_000, settle_after: int = 3):
+        self.docs = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("t"), F.xxhash64(text_col).alias("own"))
         self.id_type = self.docs.schema["doc_id"].dataType.simpleString()
-        self.id_col, self.width, self.percent, self.sketch_bits, self.broadcast_rows, self.settle_after = id_col, width, percent, sketch_bits, broadcast_rows, settle_after
+        self.id_col, self.width, self.percent, self.rarity_bits, self.broadcast_rows, self.settle_after = id_col, width, percent, rarity_bits, broadcast_rows, settle_after
         both = written(self._sets(), "shingle-sets")
-        self.sets = both.where("sketch IS NULL").drop("sketch")
-        self.order = docs.sparkSession.sparkContext.broadcast(self._shingle_counts(both))
-        self.classes = self.sets.where("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("first_id"))
+        self.sets = both.where("block IS NULL").drop("block", "counts")
+        self.order = docs.sparkSession.sparkContext.broadcast(self._rarity(both))
+        # A class goes by one of its rows: the text of that row is found again by the row's id and the hash of its text.
+        row = F.min(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "own", "n_shingles", "signature")).alias("row")
+        self.classes = self.sets.where("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("first_id"), row)
         self.entries = written(self._shared_entries(), "shared-prefixes")
+        #: (key, row_id, row_own, n_shingles, signature) of the classes that have a shared prefix shingle.
+        candidates = self.entries.select("key").distinct().join(self.classes, "key")
+        self.candidates = written(candidates.select("key", F.col("row.doc_id").alias("row_id"), F.col("row.own").alias("row_own"), "row.n_shingles", "row.signature"), "candidates")
 
     def _sets(self) -> DataFrame:
-        """(doc_id, n_shingles, key) of each document, and for each task one row with its counts of shingles by slot."""
-        width, bits = self.width, self.sketch_bits
+        """(doc_id, own, n_shingles, key, signature) of each document, and for each task some rows (block, counts) with how many of its
+        shingles fall in each slot of the rarity table, a block of the table in each row."""
+        width, bits = self.width, self.rarity_bits
+        names = ["doc_id", "own", "n_shingles", "key", "signature", "block", "counts"]
 
         def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             counts, id_type = np.zeros(1 << bits, np.uint32), pa.int64()
-            names = ["doc_id", "n_shingles", "key", "sketch"]
             for batch in batches:
                 id_type = batch.schema.field(0).type
                 for part in slices(batch, 1):
@@ -123,36 +155,39 @@ class NearDuplicates:
                     for s in sets:
                         np.add.at(counts, (s >> np.uint64(64 - bits)).astype(np.int64), 1)
                     keys = np.array([set_key(s) for s in sets], np.uint64).view(np.int64)
-                    yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys), pa.nulls(len(sets), pa.binary())], names)
-            blob = zlib.compress(np.minimum(counts, 0xFFFF).astype("<u2").tobytes(), 1)
-            yield pa.RecordBatch.from_arrays([pa.nulls(1, id_type), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.array([blob], pa.binary())], names)
+                    signatures = pa.array([signature(s) for s in sets], pa.binary())
+                    yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys), signatures, pa.nulls(len(sets), pa.int32()), pa.nulls(len(sets), pa.binary())], names)
+            blocks = [(i, packed(c)) for i, c in enumerate(np.split(counts, BLOCKS)) if c.any()]
+            nothing = [pa.nulls(len(blocks), t) for t in (id_type, pa.int64(), pa.int64(), pa.int64(), pa.binary())]
+            yield pa.RecordBatch.from_arrays([*nothing, pa.array([i for i, _ in blocks], pa.int32()), pa.array([c for _, c in blocks], pa.binary())], names)
 
-        return map_batches(self.docs, measure, f"doc_id {self.id_type}, n_shingles long, key long, sketch binary")
+        return map_batches(self.docs, measure, f"doc_id {self.id_type}, own long, n_shingles long, key long, signature binary, block int, counts binary")
 
-    def _shingle_counts(self, both: DataFrame) -> np.ndarray:
-        """The tasks' counts, added up in tasks of about the square root of their number each, then here."""
-        bits = self.sketch_bits
-        sketches = both.where("sketch IS NOT NULL").select("sketch")
-        tasks = max(1, int(sketches.count() ** 0.5))
+    def _rarity(self, both: DataFrame) -> np.ndarray:
+        """The rank of each slot by its count over all documents, on a logarithmic scale (one byte a slot). Blocks are added up by tasks
+        of their own, so the driver gets one table, whatever the number of tasks."""
+        size = (1 << self.rarity_bits) // BLOCKS
 
         def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            total = np.zeros(1 << bits, np.uint32)
+            total: dict[int, np.ndarray] = {}
             for batch in batches:
-                for blob in batch.column(0):
-                    added(total, blob.as_py())
-            yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(np.minimum(total, 0xFFFF).astype("<u2").tobytes(), 1)], pa.binary())], ["s"])
+                for block, blob in zip(batch.column(0).to_pylist(), batch.column(1)):
+                    total.setdefault(block, np.zeros(size, np.uint64))[:] += np.frombuffer(zlib.decompress(blob.as_py()), "<u4")
+            ranks = [np.minimum(np.rint(8 * np.log2(c + 1.0)), 255).astype(np.uint8).tobytes() for c in total.values()]
+            yield pa.RecordBatch.from_arrays([pa.array(total, pa.int32()), pa.array(ranks, pa.binary())], ["block", "ranks"])
 
-        total = np.zeros(1 << bits, np.uint32)
-        for row in map_batches(sketches.coalesce(tasks), add, "s binary").toLocalIterator():
-            added(total, row.s)
-        return np.minimum(total, 0xFFFF).astype(np.uint16)
+        dealt = both.where("block IS NOT NULL").select("block", "counts").repartition("block")
+        ranks = np.zeros(1 << self.rarity_bits, np.uint8)
+        for row in map_batches(dealt, add, "block int, ranks binary").collect():
+            ranks[row.block * size : (row.block + 1) * size] = np.frombuffer(row.ranks, np.uint8)
+        return ranks
 
     def _prefixes(self) -> DataFrame:
         """(token, key, place): the prefix shingles of each text; ``place`` holds the set's size and the position."""
-        width, bits, percent, order = self.width, self.sketch_bits, self.percent, self.order
+        width, bits, percent, order = self.width, self.rarity_bits, self.percent, self.order
 
         def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            counts = order.value
+            ranks = order.value
             for batch in batches:
                 for part in slices(batch, 0):
                     tokens, keys, places = [], [], []
@@ -160,7 +195,8 @@ class NearDuplicates:
                         if not len(s):
                             continue
                         size = prefix_size(len(s), percent)
-                        first = np.lexsort((s, counts[(s >> np.uint64(64 - bits)).astype(np.int64)]))[:size]
+                        # Rank first, then the hash; s is rising, so a stable sort leaves equal ones in the same order in every text.
+                        first = np.argsort(ranks[(s >> np.uint64(64 - bits)).astype(np.int64)], kind="stable")[:size]
                         tokens.append(s[first])
                         keys.append(np.full(size, set_key(s), np.uint64))
                         places.append((len(s) << 32) + np.arange(size, dtype=np.int64))
@@ -170,35 +206,24 @@ class NearDuplicates:
         return map_batches(self.docs.select("t"), cut, "token long, key long, place long")
 
     def _shared_entries(self) -> DataFrame:
-        """(token, key, n, pos) for the prefix shingles that more than one text has, each class once."""
+        """(token, key, n, pos, shared) for the prefix shingles that more than one text has, each class once; ``shared`` is how many
+        entries the class has here."""
         frequent = self._prefixes().groupBy("token").agg(F.count(F.lit(1)).alias("texts")).where("texts > 1").select("token")
-        shared = self._prefixes().join(frequent, "token").distinct()
-        return shared.select("token", "key", F.shiftright("place", 32).cast("int").alias("n"), F.col("place").bitwiseAND((1 << 32) - 1).cast("int").alias("pos"))
+        shared = written(self._prefixes().join(frequent, "token").distinct(), "prefixes")
+        by_class = shared.groupBy("key").agg(F.count(F.lit(1)).alias("shared"))
+        return shared.join(by_class, "key").select("token", "key", F.shiftright("place", 32).cast("int").alias("n"), F.col("place").bitwiseAND((1 << 32) - 1).cast("int").alias("pos"), "shared")
+
+    def _bounded(self, df: DataFrame) -> DataFrame:
+        return F.broadcast(df) if small_enough(df, self.broadcast_rows) else df
 
     def _texts(self) -> DataFrame:
-        """(key, text): one text of each class that has a shared prefix shingle. Ids may repeat with other texts or be null, so rows
-        found by id are kept by their own set's key, and classes without an id are looked for among the rows without one."""
-        ids = self.entries.select("key").distinct().join(self.classes, "key").select("key", F.col("first_id").alias("doc_id"))
-        ids = written(ids, "candidates")
-        side = F.broadcast(ids) if small_enough(ids, self.broadcast_rows) else ids
-        width = self.width
-
-        def squeeze(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for part in slices(batch, 1):
-                    own = np.fromiter((set_key(s) for s in shingle_sets(part.column(1), width)), np.uint64, part.num_rows).view(np.int64)
-                    asked = part.column(0).fill_null(0).to_numpy()
-                    kept = pa.array((asked == own) | part.column(0).is_null().to_numpy(zero_copy_only=False))
-                    texts = part.column(1).filter(kept)
-                    yield pa.RecordBatch.from_arrays([pa.array(own).filter(kept), pa.array([zlib.compress(x.as_py().encode("utf-8", "surrogatepass"), 3) for x in texts], pa.binary())], ["key", "text"])
-
-        found = self.docs.join(side, "doc_id").select("key", "t")
-        nameless = ids.where("doc_id IS NULL").select("key")
-        if nameless.isEmpty():
-            return written(map_batches(found, squeeze, "key long, text binary"), "candidate-texts").dropDuplicates(["key"])
-        found = found.unionByName(self.docs.where("doc_id IS NULL AND t IS NOT NULL").select(F.lit(None).cast("long").alias("key"), "t"))
-        keyed = written(map_batches(found, squeeze, "key long, text binary"), "candidate-texts")
-        return keyed.join(ids.select("key"), "key", "left_semi").dropDuplicates(["key"])
+        """(key, text): one text of each candidate class. Ids may repeat with other texts or be null, so rows are found by id and
+        hash of the text together."""
+        rows = self._bounded(self.candidates.select("key", "row_id", "row_own"))
+        found = self.docs.join(rows, (F.col("own") == F.col("row_own")) & F.col("doc_id").eqNullSafe(F.col("row_id")))
+        texts = written(found.select("key", F.col("t").alias("text")), "candidate-texts")
+        once = texts.groupBy("key").count().where("count > 1").isEmpty()
+        return texts if once else written(texts.dropDuplicates(["key"]), "candidate-texts")
 
     def _pairs(self, met: DataFrame) -> DataFrame:
         """(a, b, tokens) of pairs (a, n_a, pos_a, b, n_b, pos_b, ...) that pass the length and positional filters. The
@@ -210,6 +235,21 @@ class NearDuplicates:
         pairs = pairs.agg(F.max(rest).alias("rest"), F.max(F.col("n_a") + F.col("n_b")).alias("sizes"), F.count(F.lit(1)).alias("tokens"))
         return pairs.where(F.col("rest") * (100 + p) >= p * F.col("sizes")).select("a", "b", "tokens")
 
+    def _plausible(self, pairs: DataFrame) -> DataFrame:
+        """The pairs whose signatures leave them a chance: the suffix filter, before any text is moved."""
+        percent = self.percent
+
+        def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                n, m = batch.column(2).to_pylist(), batch.column(4).to_pylist()
+                chance = [not surely_different(x, y, i + j - 2 * required(i, j, percent)) for i, x, j, y in zip(n, batch.column(3).to_pylist(), m, batch.column(5).to_pylist())]
+                kept = pa.array(chance, pa.bool_())
+                yield pa.RecordBatch.from_arrays([batch.column(0).filter(kept), batch.column(1).filter(kept)], ["a", "b"])
+
+        of = lambda c: self.candidates.select(F.col("key").alias(c), F.col("n_shingles").alias(f"n_{c}"), F.col("signature").alias(f"s_{c}"))
+        both = pairs.join(of("a"), "a").join(of("b"), "b").select("a", "b", "n_a", "s_a", "n_b", "s_b")
+        return map_batches(both, keep, "a long, b long")
+
     def _verified(self, pairs: DataFrame, texts: DataFrame) -> DataFrame:
         """(a, b, linked) of each pair."""
         width, percent = self.width, self.percent
@@ -217,13 +257,12 @@ class NearDuplicates:
         def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for part in slices(batch, 2, 1 << 20):
-                    sides = []
-                    for c in (2, 3):
-                        plain = pa.array([zlib.decompress(x.as_py()).decode("utf-8", "surrogatepass") for x in part.column(c)], pa.large_string())
-                        sides.append(shingle_sets(plain, width))
+                    sides = [shingle_sets(part.column(c), width) for c in (2, 3)]
                     linked = [similar(x, y, percent) for x, y in zip(*sides)]
                     yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(linked, pa.bool_())], ["a", "b", "linked"])
 
+        asked = pairs.select(F.col("a").alias("key")).unionByName(pairs.select(F.col("b").alias("key"))).distinct()
+        texts = texts.join(self._bounded(written(asked, "asked")), "key", "left_semi")
         of = lambda c: texts.select(F.col("key").alias(c), F.col("text").alias(f"text_{c}"))
         both = pairs.select("a", "b").join(of("a"), "a").join(of("b"), "b").select("a", "b", "text_a", "text_b")
         return map_batches(both, verify, "a long, b long, linked boolean")
@@ -233,15 +272,17 @@ class NearDuplicates:
         (node, component) that they make."""
         spark = self.docs.sparkSession
         entries, texts = self.entries, self._texts()
-        checked = spark.createDataFrame([], "a long, b long, linked boolean")
-        groups = spark.createDataFrame([], "node long, component long")
+        checked = linked = spark.range(0).select(F.col("id").alias("a"), F.col("id").alias("b"))
+        groups = spark.range(0).select(F.col("id").alias("node"), F.col("id").alias("component"))
         for turn in range(self.settle_after + 1):
             if turn:
                 labelled = entries.join(groups.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
             else:
                 labelled = entries.withColumn("component", F.col("key"))
-            # The leader of a shingle changes from turn to turn; it is the entry whose hash is smallest.
-            rank = F.xxhash64("key", F.lit(turn))
+            # The leader of a shingle: first the class with the most shared entries, for an edited copy's own shingles, being rare, take
+            # places in its prefix, while the text that it stems from shares all of them; in later turns another one, by hash.
+            by_hash = F.shiftrightunsigned(F.xxhash64("key", F.lit(turn)), 21)
+            rank = by_hash if turn else F.shiftleft(F.greatest(F.lit((1 << 20) - 1) - F.col("shared"), F.lit(0)), 43).bitwiseOR(by_hash)
             sides = labelled.groupBy("token", "component").agg(F.min(rank).alias("lead"))
             tokens = sides.groupBy("token").agg(F.count(F.lit(1)).alias("sides"), F.min("lead").alias("lead"))
             tokens = written(tokens.where("sides > 1").select("token", "lead"), "mixed-tokens")
@@ -249,23 +290,25 @@ class NearDuplicates:
                 break
             settle = turn == self.settle_after  # the same rounds at every size
             # Components only grow, so a shingle that has one component now is settled for good.
-            open_entries = written(labelled.join(tokens, "token").select("token", "key", "n", "pos", "component", "lead"), "open-prefixes")
-            entries = open_entries.select("token", "key", "n", "pos")
+            open_entries = written(labelled.join(tokens, "token").select("token", "key", "n", "pos", "shared", "component", "lead"), "open-prefixes")
+            entries = open_entries.select("token", "key", "n", "pos", "shared")
             left = open_entries.select("token", F.col("key").alias("a"), F.col("n").alias("n_a"), F.col("pos").alias("pos_a"), F.col("component").alias("c_a"))
             others = open_entries if settle else open_entries.where(rank == F.col("lead"))
             right = others.select("token", F.col("key").alias("b"), F.col("n").alias("n_b"), F.col("pos").alias("pos_b"), F.col("component").alias("c_b"))
             lengths = 100 * F.least("n_a", "n_b") >= self.percent * F.greatest("n_a", "n_b")
             met = left.join(right, "token").where((F.col("c_a") != F.col("c_b")) & lengths)
-            pairs = self._pairs(met.where("a < b") if settle else met).join(checked.select("a", "b"), ["a", "b"], "left_anti")
+            pairs = self._pairs(met.where("a < b") if settle else met).join(checked, ["a", "b"], "left_anti")
             if not settle:  # for each class the leader with which it shares most
                 ends = pairs.select(F.col("a").alias("k"), "a", "b", "tokens").unionByName(pairs.select(F.col("b").alias("k"), "a", "b", "tokens"))
                 pairs = ends.groupBy("k").agg(F.max_by(F.struct("a", "b"), F.struct("tokens", "a", "b")).alias("p")).select("p.a", "p.b").distinct()
-            found = written(self._verified(written(pairs, "pairs"), texts), "verified")
-            checked = checked.unionByName(found)
+            pairs = written(pairs.select("a", "b"), "pairs")
+            found = written(self._verified(written(self._plausible(pairs), "plausible-pairs"), texts), "verified")
+            checked = checked.unionByName(pairs)
+            linked = linked.unionByName(found.where("linked").select("a", "b"))
             groups = written(self._joined(groups, found.where("linked")), "groups")
             if settle:
                 break
-        return checked.where("linked").select("a", "b"), groups
+        return linked, groups
 
     @staticmethod
     def _joined(groups: DataFrame, links: DataFrame) -> DataFrame:
@@ -278,21 +321,19 @@ class NearDuplicates:
         return nodes.join(by, "component", "left").select("node", F.coalesce("to", "component").alias("component"))
 
     def report(self) -> DataFrame:
-        """(id, n_shingles, component_id, class_key) of every document; the component is named by its smallest id."""
+        """(id, n_shingles, component_id, class_key, component_key, text_hash) of every document. A component is named by its smallest id
+        and, for those that have none, told apart by ``component_key``; both are null or the row's own for rows without shingles."""
         _, groups = self.links()
         firsts = groups.join(self.classes.withColumnRenamed("key", "node"), "node")
         named = firsts.groupBy("component").agg(F.min("first_id").alias("least"))
-        names = groups.join(named, "component").select(F.col("node").alias("key"), "least")
-        ids = self.classes.join(names, "key", "left").select("key", F.coalesce("least", "first_id").alias("component_id"))
-        own = self.sets.where(F.col("n_shingles").isNotNull())
-        out = own.join(ids, "key", "left").withColumn("component_id", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")))
-        return out.select(F.col("doc_id").alias(self.id_col), "n_shingles", "component_id", F.col("key").alias("class_key"))
+        names = groups.join(named, "component").select(F.col("node").alias("key"), "component", "least")
+        ids = self.classes.join(names, "key", "left").select("key", F.coalesce("least", "first_id").alias("component_id"), F.coalesce("component", "key").alias("component_key"))
+        out = self.sets.join(ids, "key", "left").withColumn("component_id", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")))
+        return out.select(F.col("doc_id").alias(self.id_col), "n_shingles", "component_id", F.col("key").alias("class_key"), "component_key", F.col("own").alias("text_hash"))
 
 
-def added(total: np.ndarray, blob: bytes) -> None:
-    """Add packed counts to a total; counts stop at 65,535, beyond which all shingles rank as equally frequent."""
-    total += np.frombuffer(zlib.decompress(blob), "<u2")
-    np.minimum(total, 1 << 30, out=total)
+def packed(counts: np.ndarray) -> bytes:
+    return zlib.compress(counts.astype("<u4").tobytes(), 1)
 
 
 def set_key(s: np.ndarray) -> np.uint64:

@@ -33,6 +33,7 @@ from .common import BoundedCache, Words, map_batches, slices
 ODD_SPACE = "[\x1c-\x1f]"
 SENTENCE_ENDS = r"(^\n|[.!?])$"
 PLAIN = re.compile("([A-Za-zß-öø-ÿÀ-ÖØ-Þ]+)([!-&(-/:-@[-`{-~]*)")
+APART = 20_000  # chunks that are encoded together
 DOCUMENT, SENTENCE, FORCED = 0, 1, 2
 _LOADED: dict[str, "ChunkTokenizer"] = {}
 
@@ -40,18 +41,34 @@ _LOADED: dict[str, "ChunkTokenizer"] = {}
 class ChunkTokenizer:
     """Token ids of texts, remembered by white-space-delimited chunk.
 
-    The tokenizer splits at white space before merging, so chunks can be encoded apart. Chunks of plain
-    letters with closing punctuation go to the merge model itself, all others through the whole library.
+    A tokenizer that splits at white space before merging, and keeps none of it, encodes a text as it encodes its chunks. Chunks of
+    letters with closing punctuation go to the merge model itself, letters and punctuation apart, and are remembered by these; other
+    chunks that are not remembered are encoded together, in one text, and told apart by where their tokens begin. Whether this tokenizer
+    allows either is probed when it loads; what it does not allow is left to the whole library.
     """
 
-    def __init__(self, path: str, cache_entries: int = 500_000):
+    PROBE = "Ab, c  (d)\n\nÉtude 12.5%\t<s> end.\n x"
+
+    def __init__(self, path: str, letter_bytes: int = 64 << 20, chunk_bytes: int = 16 << 20):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.model = self.library.model
-        self.cache = BoundedCache(cache_entries)
-        self.letters = BoundedCache(cache_entries)
+        self.letters, self.chunks = BoundedCache(letter_bytes), BoundedCache(chunk_bytes)
         self.byte_chars = {i: self._byte_char(i) for i in range(256)}
+        parts = Words(pa.array([self.PROBE]), lines=True)
+        distinct = parts.distinct.to_pylist()
+        coded = self.apart(distinct)
+        self.by_chunk = b"".join(coded[c] for c in parts.codes) == self.whole(self.PROBE) and coded == [self.whole(c) for c in distinct]
+        self.merges = self.by_chunk and self._merges_alike()
+
+    def _merges_alike(self) -> bool:
+        """Whether the merge model gives what the library does, for every letter and punctuation mark that goes to it."""
+        probes = [x for c in map(chr, range(33, 256)) for x in (c, f"a{c}", f"{c}b", f"Word{c}{c}", f"ma{c}na.") if PLAIN.fullmatch(x)]
+        try:
+            return [self._plain(PLAIN.fullmatch(x)) for x in probes] == self.apart(probes)
+        except Exception:  # a model without merges of this kind
+            return False
 
     @staticmethod
     def _byte_char(i: int) -> str:
@@ -59,15 +76,6 @@ class ChunkTokenizer:
         shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
         return chr(i) if i in shown else chr(256 + sum(1 for b in range(i) if b not in shown))
 
-    @classmethod
-    def of(cls, path: str) -> "ChunkTokenizer":
-        if path not in _LOADED:
-            _LOADED[path] = cls(path)
-        return _LOADED[path]
-
-    def whole(self, text: str) -> bytes:
-        return np.asarray(self.library.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-
     def _merge(self, word: str) -> bytes:
         if (known := self.letters.recall(word)) is None:
             table = self.byte_chars
@@ -77,20 +85,49 @@ class ChunkTokenizer:
             self.letters.put(word, known)
         return known
 
-    def chunk(self, chunk: str) -> bytes:
-        if (known := self.cache.recall(chunk)) is None:
-            if m := PLAIN.fullmatch(chunk):
-                known = self._merge(m[1].lower()) + (self._merge(m[2]) if m[2] else b"")
-            else:
-                known = self.whole(chunk)
-            self.cache.put(chunk, known)
-        return known
+    def _plain(self, m: re.Match) -> bytes:
+        letters, marks = m[1].lower(), m[2]
+        known = self.letters.get(letters) or self._merge(letters)
+        return known + (self.letters.get(marks) or self._merge(marks)) if marks else known
+
+    @classmethod
+    def of(cls, path: str) -> "ChunkTokenizer":
+        if path not in _LOADED:
+            _LOADED[path] = cls(path)
+        return _LOADED[path]
+
+    def whole(self, text: str) -> bytes:
+        return np.asarray(self.library.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def apart(self, chunks: list[str]) -> list[bytes]:
+        """The ids of each chunk, from one call of the library."""
+        done = self.library.encode(" ".join(chunks), add_special_tokens=False)
+        raw = np.asarray(done.ids, "<u4").tobytes()
+        lengths = np.fromiter(map(len, chunks), np.int64, len(chunks)) + 1
+        starts = np.fromiter((o[0] for o in done.offsets), np.int64, len(raw) // 4)
+        ends = (4 * np.searchsorted(starts, np.cumsum(lengths))).tolist()
+        return [raw[low:high] for low, high in zip([0, *ends], ends)]
 
     def encode(self, texts: pa.Array) -> Iterator[tuple[bytes, list[int]]]:
         """For each text its ids as little-endian 32-bit words, and how many ids stand before each sentence end."""
         words = Words(texts, lines=True)
-        get, make = self.cache.get, self.chunk
-        coded = [get(c) or make(c) for c in words.distinct.to_pylist()]
+        parts = words.distinct.to_pylist()
+        if self.merges:
+            plain, like = self._plain, PLAIN.fullmatch
+            coded = [plain(m) if (m := like(c)) else None for c in parts]
+        else:
+            coded = [None if self.by_chunk else b""] * len(parts)
+        recall = self.chunks.recall
+        missing = []
+        for i in [i for i, known in enumerate(coded) if known is None]:
+            if (known := recall(parts[i])) is None:
+                missing.append(i)
+            coded[i] = known
+        for first in range(0, len(missing), APART):
+            some = missing[first : first + APART]
+            for i, known in zip(some, self.apart([parts[i] for i in some])):
+                coded[i] = known
+                self.chunks.put(parts[i], known)
         sizes = np.fromiter(map(len, coded), np.int64, len(coded)) >> 2
         firsts, ids = np.cumsum(sizes) - sizes, np.frombuffer(b"".join(coded), "<u4")
         ends = np.cumsum(sizes[words.codes])
@@ -101,8 +138,8 @@ class ChunkTokenizer:
         limits = np.concatenate([[0], ends])[words.bounds]
         odd = pc.fill_null(pc.match_substring_regex(texts, ODD_SPACE), False).to_pylist()
         for i, (low, high) in enumerate(zip(limits[:-1].tolist(), limits[1:].tolist())):
-            if odd[i]:
-                yield self.whole(texts[i].as_py()), []
+            if odd[i] or not self.by_chunk:
+                yield self.whole(texts[i].as_py() or ""), []
             else:
                 own = places[np.searchsorted(places, low, "right") : np.searchsorted(places, high, "left")]
                 yield stream[low:high].tobytes(), np.unique(own - low).tolist()

@@ -33,13 +33,13 @@ _LOADED: dict[str, "SpaceCutTokenizer"] = {}
 class SpaceCutTokenizer:
     """Counts tokens of texts, remembering the counts of pre-tokens it has met."""
 
-    def __init__(self, model_path: str, cache_entries: int = 500_000):
+    def __init__(self, model_path: str, cache_bytes: int = 24 << 20):
         import sentencepiece
 
         self.library = sentencepiece.SentencePieceProcessor(model_file=model_path)
         pieces = (self.library.id_to_piece(i) for i in range(self.library.vocab_size()))
         self.additive = not any(MARK in piece.lstrip(MARK) for piece in pieces)
-        self.cache = BoundedCache(cache_entries)
+        self.cache = BoundedCache(cache_bytes)
 
     @classmethod
     def of(cls, model_path: str) -> "SpaceCutTokenizer":
