@@ -7,7 +7,7 @@ by the number of the host's pages; lines whose ratio exceeds a limit (and that s
 Page text crosses no shuffle for the counts: a page is reduced to the hashes of its distinct lines, counted
 first within tasks, so a hot host or line costs one partial sum for each task. The lines to drop are sent to
 all tasks as one list of hashes for each host when there are at most ``broadcast_lines`` of them, and the pages are
-filtered in place; beyond that, (page, line) keys meet them in a join that Spark may split.
+filtered in place; beyond that, (host, text, line) keys meet them in joins that Spark may split, with the same result.
 
 Lines are compared after trimming white space; blank lines are neither counted nor dropped.
 
@@ -15,9 +15,9 @@ Where a group is a large share of the corpus, no line reaches a ratio fit for a
 by what chance would repeat: a line of few words needs many texts, a long one only ``least_pages``. Copies of a text count
 once, and texts must differ around the line, so that near copies of one text do not make its lines boilerplate.
 
-Edge cases: null text stays null and has no lines; a null host is a host of its own; repeated page ids count as pages
-of their own where text is filtered in place, and share the union of their lines to drop where keys are joined; an empty
-table gives an empty result; all columns of the input come back.
+Edge cases: null text stays null and has no lines; a null host is a host of its own; repeated page ids count as pages of their
+own, and each loses the lines of its own host; a line at the ratio itself stays, one above it goes; a very long text is held whole by one task
+with 8 bytes a line; an empty table gives an empty result; all columns of the input come back, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,7 +25,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_enough, written
+from .common import fresh, small_enough, written
 
 NO_HOST = "\0"
 
@@ -98,14 +98,15 @@ def drop_boilerplate(pages: DataFrame, id_col: str = "page_id", host_col: str =
     """``pages`` with the boilerplate lines of each host dropped from ``text_col``."""
     found = boilerplate(pages, host_col, text_col, ratio=ratio, least_pages=least_pages) if found is None else found
     found = written(found, "boilerplate")
-    own_host = F.coalesce(F.col(host_col).cast("string"), F.lit(NO_HOST))
-    none = F.array().cast("array<long>")
+    own_host, own_text = F.coalesce(F.col(f"`{host_col}`").cast("string"), F.lit(NO_HOST)), F.col(f"`{text_col}`")
+    host, own, gone = (fresh(name, pages.columns) for name in ("gone_host", "gone_own", "gone_lines"))
     if small_enough(found, broadcast_lines):
-        lists = found.groupBy(F.col("host").alias("__host")).agg(F.collect_list("line").alias("__lines"))
-        joined = pages.join(F.broadcast(lists), own_host == F.col("__host"), "left")
+        lists = found.groupBy(F.col("host").alias(host)).agg(F.collect_list("line").alias(gone))
+        joined = pages.join(F.broadcast(lists), own_host == F.col(host), "left")
     else:
-        keys = pages.select(F.col(id_col).alias("__id"), own_host.alias("host"), F.explode(line_keys(F.col(text_col))).alias("line"))
-        lists = keys.join(found, ["host", "line"]).groupBy("__id").agg(F.collect_set("line").alias("__lines"))
-        joined = pages.join(lists, F.col(id_col).eqNullSafe(F.col("__id")), "left")
-    text = drop_lines(F.col(text_col), F.coalesce("__lines", none))
+        # What goes from a page follows from its host and text alone, so pages meet their list by these, whatever their ids.
+        keys = pages.select(own_host.alias("host"), F.xxhash64(own_text).alias("own"), F.explode(line_keys(own_text)).alias("line"))
+        lists = keys.join(found, ["host", "line"]).groupBy(F.col("host").alias(host), F.col("own").alias(own)).agg(F.collect_set("line").alias(gone))
+        joined = pages.join(lists, (own_host == F.col(host)) & (F.xxhash64(own_text) == F.col(own)), "left")
+    text = drop_lines(own_text, F.coalesce(F.col(gone), F.array().cast("array<long>")))
     return joined.select(*(text.alias(c) if c == text_col else F.col(f"`{c}`") for c in pages.columns))
