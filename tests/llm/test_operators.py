@@ -346,3 +346,57 @@ def test_mixture_of_more_than_three_languages(spark):
     _, score, share = model.infer(pa.array([" ".join(prose(rng, 60, a) for a in alphabets), prose(rng, 60, "abcde"), " ".join(prose(rng, 60, a) for a in alphabets[:4])]), 9, 1.0)
     assert np.abs(share[0] - 0.2).max() < 0.03 and abs(score[0] - 0.2) < 0.03
     assert share[1][0] > 0.99 and np.abs(share[2][:4] - 0.25).max() < 0.03 and share[2][4] < 0.01
+
+
+def test_signatures_never_rule_out_similar_sets():
+    rng = np.random.default_rng(5)
+    ruled_out = 0
+    for k in range(300):
+        a = np.unique(rng.integers(0, 1 << 63, int(rng.integers(1, 400))).astype(np.uint64) * np.uint64(2))
+        other = np.unique(np.concatenate([a[rng.random(len(a)) < rng.choice([0.1, 0.85, 0.95])], rng.integers(0, 1 << 63, int(rng.integers(1, 60))).astype(np.uint64)]))
+        least = ngram_join.required(len(a), len(other), 80)
+        most = len(a) + len(other) - 2 * least
+        apart = ngram_join.surely_different(ngram_join.signature(a), ngram_join.signature(other), most)
+        assert not (apart and len(np.intersect1d(a, other)) >= least)
+        ruled_out += apart
+    assert ruled_out > 50
+    full = np.arange(4000, dtype=np.uint64)  # all in one range, whose count stops at 255
+    assert not ngram_join.surely_different(ngram_join.signature(full), ngram_join.signature(full[:3900]), 100)
+
+
+def test_components_by_joins_equals_one_task(spark):
+    rng = random.Random(12)
+    links = spark.createDataFrame([(rng.randrange(300), rng.randrange(300)) for _ in range(220)] + [(1000, 1000 + i) for i in range(1, 40)], "a long, b long")
+    one = sorted(tuple(r) for r in components.components(links).collect())
+    assert sorted(tuple(r) for r in components.components(links, one_task_links=0).collect()) == one
+
+
+def test_decontamination_tells_rows_of_one_id_apart(spark):
+    item = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda"
+    rows = [(1, "x " + item), (1, "nothing here"), (None, item + " y"), (None, None), (2, item), (2, item)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("own", F.lit(1)).withColumn("row_id", F.lit(2)).withColumn("t", F.lit("t"))
+    items = spark.createDataFrame([(7, item)], "item_id long, text string")
+    for limit in (500_000, 0):
+        got = sorted((str(r.doc_id), r.n_words, r.n_hit, r.item_ids) for r in decontamination.TestIndex(docs, items, broadcast_rows=limit).report().collect())
+        assert got == sorted([("1", 12, 11, ["7"]), ("1", 2, 0, []), ("None", 12, 11, ["7"]), ("None", 0, 0, []), ("2", 11, 11, ["7"]), ("2", 11, 11, ["7"])])
+
+
+def test_decontamination_of_a_very_long_text_of_few_words(spark):
+    rng = random.Random(13)
+    letters = [chr(97 + i) * 2 for i in range(26)] + [chr(97 + i) * 3 for i in range(24)]
+    words = [rng.choice(letters) for _ in range(200_000)]
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, "aa bb")], "doc_id long, text string")
+    items = spark.createDataFrame([(1, " ".join(words[150_000:150_012])), (2, " ".join(rng.choice(letters) for _ in range(30)))], "item_id long, text string")
+    got = {r.doc_id: (r.n_words, r.n_hit, r.item_ids) for r in decontamination.TestIndex(docs, items).report().collect()}
+    assert got == {1: (200_000, 12, ["1"]), 2: (2, 0, [])}
+
+
+def test_line_dedup_of_an_id_on_two_hosts_does_not_depend_on_size(spark):
+    rows = [(i, "a", f"menu\nbody {i}") for i in range(10)] + [(3, "b", "menu\nz"), (3, "b", "w\nmenu"), (None, "a", "menu\nq")]
+    pages = spark.createDataFrame(rows, "page_id long, host string, text string").withColumn("gone_lines", F.lit(1)).withColumn("Gone_Host", F.lit(2)).withColumn("own", F.lit(3))
+    out = []
+    for limit in (100_000, 0):
+        kept = line_dedup.drop_boilerplate(pages, least_pages=5, broadcast_lines=limit)
+        assert kept.columns == pages.columns
+        out.append(sorted((str(r.page_id), r.host, r.text) for r in kept.collect()))
+    assert out[0] == out[1] and ("3", "b", "menu\nz") in out[0] and ("None", "a", "q") in out[0] and ("3", "a", "body 3") in out[0]

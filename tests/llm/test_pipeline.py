@@ -84,3 +84,31 @@ def test_pipeline_rejects_what_the_toxicity_query_calls_toxic(spark, monkeypatch
     for probability, left in ((0.29, 1), (0.3, 0), (0.4, 0)):
         monkeypatch.setattr(corpus_pipeline, "toxicity_classifier", lambda *_, p=probability: toxicity.Classifier(None, p))
         assert corpus_pipeline.drop_toxic(spark, docs, "").count() == left
+
+
+def test_stages_with_nulls_repeats_clashing_names_and_nothing(spark, tmp_path):
+    rng = random.Random(21)
+    passage, copied = prose(rng, 30), prose(rng, 80)
+    docs = [(i, prose(rng, 60), "en", "s", 1, "g", "h", 2.0) for i in range(40)]
+    docs += [(None, prose(rng, 20) + " " + passage, None, None, None, None, None, None), (None, copied, "en", "s", 1, "g", "h", 1.0), (None, copied + " end", "en", "s", 1, "g", "h", 1.0)]
+    docs += [(3, prose(rng, 50) + " " + passage, "en", "s", 1, "g", "h", 1.0), (5, None, "en", "s", None, "g", "h", 1.0), (5, "", "en", "s", 0, "g", "h", 1.0), (7, docs[7][1], "en", "s", 1, "x", "h", 1.0)]
+    schema = DOCS + ", gone string, had string, toxicity double"
+    sf = f"file://{tmp_path}"
+    spark.createDataFrame(docs, schema).write.parquet(f"{sf}/documents.parquet")
+    spark.createDataFrame([(i, 1, int(i % 5 == 0)) for i in range(40)], "doc_id long, quality int, toxic int").write.parquet(f"{sf}/labels.parquet")
+    spark.createDataFrame([(1, passage)], "item_id long, text string").write.parquet(f"{sf}/benchmark.parquet")
+    table = spark.read.parquet(f"{sf}/documents.parquet")
+    lines = corpus_pipeline.drop_boilerplate_lines(spark, table, sf)
+    assert lines.columns == table.columns and lines.count() == len(docs)
+    scored = corpus_pipeline.drop_toxic(spark, table, sf)
+    assert scored.columns == table.columns
+    joined = corpus_pipeline.keep_one_of_each_group(spark, table, sf)
+    assert joined.columns == table.columns
+    rows = [(r.doc_id, r.text) for r in joined.collect()]
+    assert len(rows) == len(docs) - 2 and sum(t is not None and t.startswith(copied) for _, t in rows) == 1 and sum(i == 7 for i, _ in rows) == 1
+    clean = corpus_pipeline.drop_contaminated(spark, table, sf)
+    assert clean.columns == table.columns
+    left = [(r.doc_id, r.text) for r in clean.collect()]
+    assert len(left) == len(docs) - 2 and not any(t and passage in t for _, t in left) and (3, docs[3][1]) in left
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, table.limit(0), sf).count() == 0
