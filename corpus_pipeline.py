@@ -4,6 +4,10 @@ Every stage works on all that its predecessor kept, and each is judged by the ro
 toxic documents go; lines that are boilerplate of their source go from the texts; of each group of near copies the
 document with the smallest id stays; documents that hold a window of a benchmark item go; the rest is packed. All stages
 but the last return the columns of ``documents``, with ``n_chars`` following the text.
+
+Edge cases, in every stage: an empty table gives an empty one; null and empty texts are clean, are nobody's copy and stay; rows with a
+null id, or that repeat an id, are told apart by their texts; further columns come along, whatever their names; a text is held whole by
+one task.
 """
 
 from __future__ import annotations
@@ -12,36 +16,48 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from websieve.llm import decontamination, line_dedup, ngram_join, packing, toxicity
-from websieve.llm.common import table, without_ids, written
+from websieve.llm.common import fresh, table, without_rows, written
 from websieve.llm.queries import TOXIC_FROM, tokenizer_file, toxicity_classifier
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity query does not call toxic; the classifier learns as the toxicity query's does."""
-    scored = toxicity.score(docs, toxicity_classifier(spark, sf_dir), out="__toxicity")
-    return scored.where(F.col("__toxicity") < TOXIC_FROM).drop("__toxicity")
+    probability = fresh("toxicity", docs.columns)
+    scored = toxicity.score(docs, toxicity_classifier(spark, sf_dir), out=probability)
+    return scored.where(F.col(probability) < TOXIC_FROM).drop(probability)
 
 
 def drop_boilerplate_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the lines that repeat in their source beyond chance; one left with no text goes if it had some."""
+    had = fresh("had", docs.columns)
     found = line_dedup.repeated(docs, "source", "text")
-    cleaned = line_dedup.drop_boilerplate(docs.withColumn("__had", F.trim(F.coalesce("text", F.lit(""))) != ""), "doc_id", "source", "text", found=found)
-    kept = cleaned.where(~F.col("__had") | (F.trim("text") != "")).drop("__had")
+    cleaned = line_dedup.drop_boilerplate(docs.withColumn(had, F.trim(F.coalesce("text", F.lit(""))) != ""), "doc_id", "source", "text", found=found)
+    kept = cleaned.where(~F.col(had) | (F.trim("text") != "")).drop(had)
     return kept.withColumn("n_chars", F.length("text").cast("long"))
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each component of near copies; documents without words or id stay."""
-    groups = written(ngram_join.NearDuplicates(docs).report().select("doc_id", "component_id", "n_shingles"), "pipeline-groups")
-    kept = without_ids(docs, "doc_id", groups.where("n_shingles > 0 AND doc_id <> component_id").select("doc_id").distinct())
-    no_repeats = groups.where("doc_id IS NOT NULL AND n_shingles > 0").groupBy("doc_id").count().where("count > 1").isEmpty()
-    return kept if no_repeats else kept.dropDuplicates(["doc_id", "text"])
+    """The document with the smallest id of each component of near copies (of rows without id, or that share one, the one whose text has
+    the smallest hash); documents without words stay."""
+    report = ngram_join.NearDuplicates(docs).report().where("n_shingles > 0").select("doc_id", F.col("text_hash").alias("own"), "component_key")
+    rows = written(report, "pipeline-groups")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "own")).alias("first")
+    firsts = rows.groupBy("component_key").agg(first, F.count(F.lit(1)).alias("members")).where("members > 1")
+    others = rows.join(firsts, "component_key").where(~F.col("doc_id").eqNullSafe(F.col("first.doc_id")) | (F.col("own") != F.col("first.own")))
+    kept = without_rows(docs, "doc_id", "text", others)
+    # Rows equal in id and text are left; only where there are such is more than a count needed.
+    repeats = rows.groupBy("doc_id", "own").count().where("count > 1").select("doc_id", "own")
+    if repeats.isEmpty():
+        return kept
+    own = fresh("own", docs.columns)
+    keyed = kept.withColumn(own, F.when(F.trim("text") != "", F.xxhash64("text")).otherwise(F.monotonically_increasing_id()))
+    return keyed.dropDuplicates(["doc_id", own]).drop(own)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in which no window of a benchmark item occurs."""
-    index = decontamination.TestIndex(docs.where("doc_id IS NOT NULL"), table(spark, sf_dir, "benchmark"))
-    return without_ids(docs, "doc_id", index.phrases().select("doc_id").distinct())
+    index = decontamination.TestIndex(docs, table(spark, sf_dir, "benchmark"))
+    return without_rows(docs, "doc_id", "text", index.phrases().select("doc_id", "own"))
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
