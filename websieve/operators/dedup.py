@@ -16,6 +16,9 @@ from ..functions.normalize import NormOptions, key64, normalize
 from .paragraphs import doc_of, para_of, pick_lines, shard_of
 
 
+MOST_PAIRS = 1_000_000  # pairs of shards that are broadcast; more are joined by a shuffle
+
+
 @dataclass(frozen=True)
 class Shards:
     """Disjoint blocks of n consecutive shards."""
@@ -109,7 +112,8 @@ def _survivors_by_pairs(keys: DataFrame, scope: Pairs, policy: str) -> DataFrame
     refs = scope.table.where("shard_id <> ref_shard")
     if scope.external == "earlier" and policy == "keep_first":
         refs = refs.where("ref_shard < shard_id")
-    wanted = own.select("shard_id", "h64").join(F.broadcast(refs), "shard_id")
+    few = refs.limit(MOST_PAIRS + 1).count() <= MOST_PAIRS
+    wanted = own.select("shard_id", "h64").join(F.broadcast(refs) if few else refs, "shard_id")
     seen = own.select(F.col("shard_id").alias("ref_shard"), "h64")
     hit = wanted.join(seen, ["ref_shard", "h64"], "left_semi").select("shard_id", "h64").distinct()
     own = own.where("copies = 1") if policy == "drop_all" else own

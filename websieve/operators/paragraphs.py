@@ -5,12 +5,20 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-# Bits of a packed position, which orders paragraphs by shard, document and place and stays positive.
-SHARD_BITS, DOC_BITS, PARA_BITS = 12, 31, 20
+# Bits of a packed position, which orders paragraphs by shard, document and place and stays positive: 2,048 shards, 17 billion
+# document numbers, 262,144 lines a document.
+SHARD_BITS, DOC_BITS, PARA_BITS = 11, 34, 18
 
 
 def packed_position(shard: Column, doc: Column, para_no: Column) -> Column:
-    return F.shiftleft(shard.cast("long"), DOC_BITS + PARA_BITS).bitwiseOR(F.shiftleft(doc.cast("long"), PARA_BITS)).bitwiseOR(para_no.cast("long"))
+    """The three numbers in one long. One that does not fit raises an error: packed all the same, it would be another paragraph's position."""
+    parts = [(shard, SHARD_BITS), (doc, DOC_BITS), (para_no, PARA_BITS)]
+    fits = F.lit(True)
+    for part, bits in parts:
+        fits = fits & (F.shiftright(part.cast("long"), bits) == 0)
+    packed = F.shiftleft(shard.cast("long"), DOC_BITS + PARA_BITS).bitwiseOR(F.shiftleft(doc.cast("long"), PARA_BITS)).bitwiseOR(para_no.cast("long"))
+    told = F.concat(F.lit("no packed position for shard, document, line "), F.concat_ws(", ", *(part.cast("string") for part, _ in parts)))
+    return F.when(fits, packed).when(fits.isNotNull(), F.raise_error(told).cast("long"))
 
 
 def shard_of(pos: Column) -> Column:
@@ -51,4 +59,6 @@ def assemble(paras: DataFrame, id_col: str = "doc_id") -> DataFrame:
 
 def pick_lines(text: Column, para_nos: Column) -> Column:
     """The lines of a text with the given numbers, in order: the wide side of a document is filtered in place."""
-    return F.array_join(F.transform(para_nos, lambda i: F.element_at(F.split(text, "\n"), i + 1)), "\n")
+    # The lines are bound by the outer lambda, so the text is split once and not for each number.
+    picked = F.transform(F.array(F.split(text, "\n")), lambda lines: F.array_join(F.transform(para_nos, lambda i: F.get(lines, i)), "\n"))
+    return picked[0]

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -12,8 +13,12 @@ from . import schemas
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share, from ``spark.checkpoint.dir``; a temporary one only where none is set."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or "file://" + tempfile.mkdtemp(prefix="websieve-")).rstrip("/")
+    """The folder that all executors share, from ``spark.checkpoint.dir``. Where none is set, a local master gets a temporary one; on a
+    cluster, whose machines would not see it, that is an error."""
+    where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not where and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return (where or "file://" + tempfile.mkdtemp(prefix="websieve-")).rstrip("/")
 
 
 def shared_path(spark: SparkSession, label: str) -> str:
