@@ -400,3 +400,30 @@ def test_line_dedup_of_an_id_on_two_hosts_does_not_depend_on_size(spark):
         assert kept.columns == pages.columns
         out.append(sorted((str(r.page_id), r.host, r.text) for r in kept.collect()))
     assert out[0] == out[1] and ("3", "b", "menu\nz") in out[0] and ("None", "a", "q") in out[0] and ("3", "a", "body 3") in out[0]
+
+
+def test_last_round_meets_the_same_pairs_without_the_square_of_a_shared_passage(spark):
+    """A passage that many texts share: the pairs that pass are those of the plain join of all entries, and where the passage is too
+    little of the texts to make any of them similar, no entry meets another."""
+    rng = random.Random(11)
+    passage = [f"common{i}" for i in range(30)]
+
+    def met_and_square(sizes, percent):
+        rows = []
+        for i in range(150):
+            own = [f"w{rng.randrange(10**6)}" for _ in range(rng.choice(sizes))]
+            at = rng.randrange(len(own) + 1)
+            rows.append((i, " ".join(own[:at] + passage + own[at:])))
+        join = ngram_join.NearDuplicates(spark.createDataFrame(rows, "doc_id long, text string"), percent=percent)
+        entries = join.entries.withColumn("component", F.col("key"))
+        lengths = 100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b")
+        square = join._side(entries, "a").join(join._side(entries, "b"), "token").where((F.col("a") < F.col("b")) & lengths)
+        met = join._met_all(entries)
+        keys = [{tuple(r) for r in join._pairs(rows).select("a", "b").collect()} for rows in (met, square)]
+        assert keys[0] == keys[1]
+        return met.count(), square.count(), len(keys[0])
+
+    met, square, pairs = met_and_square([1, 3, 6, 8, 10, 14, 40], 80)
+    assert 0 < pairs <= met < square
+    met, square, pairs = met_and_square([5, 6], 80)
+    assert (met, pairs) == (0, 0) and square > 1000

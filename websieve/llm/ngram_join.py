@@ -11,7 +11,8 @@ and each pair is verified once, exactly.
 What is asked for is which documents are connected, so a pair that is known to be connected already needs no
 verification. Rounds first verify, for each class, the pair with the leader of most of its prefix shingles; the links found
 are joined to components, and the next round looks only at prefix shingles where different components meet. After a fixed number of
-rounds, the same at every size, all pairs that are left are verified. Groups of near copies therefore cost about a pair for each copy and not one
+rounds, the same at every size, all pairs that are left are verified; the length and positional filters are part of that join, so
+a shingle of a passage that many unlike texts share does not pair them all. Groups of near copies therefore cost about a pair for each copy and not one
 for each pair of copies, and no link between components is missed, at any number of rounds.
 
 Edge cases: null, empty and blank texts have no shingles and are components of their own; texts of fewer words than a shingle
@@ -235,6 +236,34 @@ class NearDuplicates:
         pairs = pairs.agg(F.max(rest).alias("rest"), F.max(F.col("n_a") + F.col("n_b")).alias("sizes"), F.count(F.lit(1)).alias("tokens"))
         return pairs.where(F.col("rest") * (100 + p) >= p * F.col("sizes")).select("a", "b", "tokens")
 
+    @staticmethod
+    def _side(entries: DataFrame, c: str, *more: str) -> DataFrame:
+        return entries.select("token", F.col("key").alias(c), F.col("n").alias(f"n_{c}"), F.col("pos").alias(f"pos_{c}"), F.col("component").alias(f"c_{c}"), *more)
+
+    def _met_leaders(self, entries: DataFrame, leaders: DataFrame) -> DataFrame:
+        """Each entry beside the leader of its shingle: no more rows than entries."""
+        lengths = 100 * F.least("n_a", "n_b") >= self.percent * F.greatest("n_a", "n_b")
+        return self._side(entries, "a").join(self._side(leaders, "b"), "token").where((F.col("c_a") != F.col("c_b")) & lengths)
+
+    def _met_all(self, entries: DataFrame) -> DataFrame:
+        """Entries of a shingle that can belong to a similar pair whose first common shingle it is.
+
+        The smaller set of such a pair has the shingle so early that it could reach the threshold with a set of its own size, so only
+        such entries (a, a little over half of a prefix) look for partners, and only for sets as large or larger, by the largest ratio of
+        sizes that the threshold allows. Sizes fall in bands of somewhat more than that ratio, so partners are of the same band or
+        the next one; band and shingle are the key together. The positional filter holds for each row: the first common shingle has
+        the highest bound, so a pair whose rows all fail it has none that passes. A passage that many texts share lies behind their own
+        rarer shingles, where it makes nobody look for partners, unless it is so much of the texts that they are similar."""
+        p, step = self.percent, float(np.log(101 / self.percent))
+        band = F.floor(F.log("n") / step)
+        seekers = entries.where((F.col("n") - F.col("pos")) * (100 + p) >= 2 * p * F.col("n"))
+        left = self._side(seekers, "a", F.explode(F.array(band, band + 1)).alias("band"))
+        right = self._side(entries, "b", band.alias("band"))
+        larger = (F.col("n_a") < F.col("n_b")) | ((F.col("n_a") == F.col("n_b")) & (F.col("a") < F.col("b")))
+        rest = F.least(F.col("n_a") - F.col("pos_a"), F.col("n_b") - F.col("pos_b"))
+        possible = (100 * F.col("n_a") >= p * F.col("n_b")) & (rest * (100 + p) >= p * (F.col("n_a") + F.col("n_b")))
+        return left.join(right, ["token", "band"]).where(larger & (F.col("c_a") != F.col("c_b")) & possible)
+
     def _plausible(self, pairs: DataFrame) -> DataFrame:
         """The pairs whose signatures leave them a chance: the suffix filter, before any text is moved."""
         percent = self.percent
@@ -292,12 +321,8 @@ class NearDuplicates:
             # Components only grow, so a shingle that has one component now is settled for good.
             open_entries = written(labelled.join(tokens, "token").select("token", "key", "n", "pos", "shared", "component", "lead"), "open-prefixes")
             entries = open_entries.select("token", "key", "n", "pos", "shared")
-            left = open_entries.select("token", F.col("key").alias("a"), F.col("n").alias("n_a"), F.col("pos").alias("pos_a"), F.col("component").alias("c_a"))
-            others = open_entries if settle else open_entries.where(rank == F.col("lead"))
-            right = others.select("token", F.col("key").alias("b"), F.col("n").alias("n_b"), F.col("pos").alias("pos_b"), F.col("component").alias("c_b"))
-            lengths = 100 * F.least("n_a", "n_b") >= self.percent * F.greatest("n_a", "n_b")
-            met = left.join(right, "token").where((F.col("c_a") != F.col("c_b")) & lengths)
-            pairs = self._pairs(met.where("a < b") if settle else met).join(checked, ["a", "b"], "left_anti")
+            met = self._met_all(open_entries) if settle else self._met_leaders(open_entries, open_entries.where(rank == F.col("lead")))
+            pairs = self._pairs(met).join(checked, ["a", "b"], "left_anti")
             if not settle:  # for each class the leader with which it shares most
                 ends = pairs.select(F.col("a").alias("k"), "a", "b", "tokens").unionByName(pairs.select(F.col("b").alias("k"), "a", "b", "tokens"))
                 pairs = ends.groupBy("k").agg(F.max_by(F.struct("a", "b"), F.struct("tokens", "a", "b")).alias("p")).select("p.a", "p.b").distinct()
