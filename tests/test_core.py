@@ -123,18 +123,21 @@ def sentences(spark, lines):
     return spark.createDataFrame([("en", i, 0, line.split()) for i, line in enumerate(lines)], "lang string, doc_id long, para_no int, toks array<string>")
 
 
-@pytest.mark.parametrize("mode", ["three", "single"])
-def test_model_sums_to_one_and_scorers_agree(spark, mode):
+@pytest.mark.parametrize(("mode", "order"), [("three", 3), ("single", 3), ("three", 5)])
+def test_model_sums_to_one_and_scorers_agree(spark, mode, order):
     rows = sentences(spark, ["a b a c", "b a b", "c a b a", "a a b c d", "d c b a"])
-    model = lm.fit(lm.ngrams(rows, 3), 3, mode).cache()
+    model = lm.fit(lm.ngrams(rows, order), order, mode).cache()
     arrays = lm.freeze(model)
     words = ["a", "b", "c", "d", lm.END, "never"]
     for ctx in (("a",), ("b", "a"), (lm.START,), ("zzz",), ("a", "zzz")):
-        assert sum(10 ** arrays["en"]._one((*ctx, w), {}) for w in words) == pytest.approx(1.0)
-    test = sentences(spark, ["a b q", "d d d", "c a b a"])
-    joined = {r.doc_id: (r.log10_sum, r.n_tokens) for r in lm.score_by_join(test, model, 3).collect()}
-    local = {r.doc_id: (r.log10_sum, r.n_tokens) for r in lm.score_by_arrays(test, arrays, 3).collect()}
-    assert all(joined[k] == (pytest.approx(local[k][0], abs=1e-9), local[k][1]) for k in local) and len(joined) == 3
+        ctx = [x for x in ctx if x != lm.START]
+        values, starts = arrays["en"].values([[*ctx, *([] if w == lm.END else [w])] for w in words], order, {})
+        assert (10 ** values[starts + len(ctx) + 1]).sum() == pytest.approx(1.0)
+    test = sentences(spark, ["a b q", "d d d", "c a b a", "b a b a a b c d"])
+    joined = {r.doc_id: (r.log10_sum, r.n_tokens) for r in lm.score_by_join(test, model, order).collect()}
+    local = {r.doc_id: (r.log10_sum, r.n_tokens) for r in lm.score_by_arrays(test, arrays, order).collect()}
+    assert all(joined[k] == (pytest.approx(local[k][0], abs=1e-9), local[k][1]) for k in local) and len(joined) == len(local) == 4
+    assert lm.freeze(model, 3) is None
 
 
 def test_tree_scores_sum_to_one(spark):
@@ -147,6 +150,25 @@ def test_tree_scores_sum_to_one(spark):
     assert lid.best(tied).first().lang == "w" and lid.accept(lid.best(tied)).isEmpty()
 
 
+def test_logistic_tree_scores_sum_to_one(spark):
+    rows = [("aa", "abab abba"), ("aa", "aabb"), ("bb", "cdcd dccd"), ("cc", "efef feef")]
+    train = spark.createDataFrame([(i, lang, t) for i, (lang, t) in enumerate(rows)], "doc_id long, lang string, text string")
+    scores = lid.score_tree_logistic(train, lid.fit_tree_logistic(train))
+    assert all(r.s == pytest.approx(1.0) for r in scores.groupBy("doc_id").agg(F.sum("score").alias("s")).collect())
+    assert {r.doc_id: r.lang for r in lid.best(scores).collect()} == {0: "aa", 1: "aa", 2: "bb", 3: "cc"}
+
+
+@pytest.mark.parametrize("n_min", [1, 3])
+def test_flat_scores_in_place_and_by_join_agree(spark, monkeypatch, n_min):
+    rows = [("aa", "abab Abba ÀÉ"), ("bb", "cdcd dccd"), ("bb", "\U0001f600\U0001f601x"), ("cc", None), ("cc", ""), ("cc", "ab")]
+    train = spark.createDataFrame([(i, lang, t) for i, (lang, t) in enumerate(rows)], "doc_id long, lang string, text string")
+    model = lid.fit_flat(train.where("text IS NOT NULL"), n_min, 3)
+    found = {(r.doc_id, r.lang): r.score for r in lid.score_flat(train, model, temperature=0.25).collect()}
+    monkeypatch.setattr(lid, "_weights", lambda model: None)
+    joined = {(r.doc_id, r.lang): r.score for r in lid.score_flat(train, model, temperature=0.25).collect()}
+    assert found and found == {k: pytest.approx(v, abs=1e-9) for k, v in joined.items()}
+
+
 def test_buckets(spark):
     scores = spark.createDataFrame([(i, "en", float(p)) for i, p in enumerate([1, 2, 3, 4, 5, 6, 7, 8, 9])] + [(20, "fr", 5.0), (21, "xx", None)], "doc_id long, lang string, ppl double")
     got = {r.doc_id: r.bucket for r in buckets.assign(scores, buckets.thresholds(scores)).collect()}

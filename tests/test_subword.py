@@ -10,7 +10,7 @@ from websieve.sources import textextract
 
 def test_merges(spark):
     table = spark.createDataFrame([("en", "abab", 5), ("en", "abc", 3), ("en", "cc", 1)], "lang string, word string, cnt long")
-    counts = {(r.a, r.b): r.cnt for r in subword.pair_counts(subword._spelled(table)).collect()}
+    counts = {(r.a, r.b): r.cnt for r in subword.pair_counts(subword.spelled(table)).collect()}
     assert counts == {("a", "b"): 13, ("b", "a"): 5, ("b", "c"): 3, ("c", "c"): 1}
     model = subword.fit_merges(table, 2)
     assert model.pairs == [("a", "b"), ("ab", "ab")] and model.encode("ababc") == ["abab", "c"]

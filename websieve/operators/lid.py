@@ -7,6 +7,8 @@ import heapq
 import math
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -15,23 +17,29 @@ from pyspark.sql import functions as F
 def char_ngrams(docs: DataFrame, n_min: int, n_max: int, id_col: str = "doc_id", text_col: str = "text", max_chars: int | None = None, keep: tuple[str, ...] = ()) -> DataFrame:
     """(id, *keep, gram, n): counts of lower-cased character n-grams of each text; ``max_chars`` cuts texts for training on
     a budget."""
+    rows = _gram_rows(docs, n_min, n_max, text_col, id_col, *keep, max_chars=max_chars)
+    return rows.groupBy(id_col, *keep, "gram").agg(F.count(F.lit(1)).alias("n"))
+
+
+def _gram_rows(docs: DataFrame, n_min: int, n_max: int, text_col: str, *keep: str | Column, max_chars: int | None = None) -> DataFrame:
     text = F.lower(F.col(text_col))
     text = F.substring(text, 1, max_chars) if max_chars else text
     # Characters as an array: places in a string are found by counting bytes from its start, in an array directly.
-    rows = docs.select(id_col, *keep, F.filter(F.split(text, ""), lambda c: c != "").alias("__c"))
+    rows = docs.select(*keep, F.filter(F.split(text, ""), lambda c: c != "").alias("__c"))
 
     def of(n: int) -> Column:
         last = F.size("__c") - n
         gram = lambda i: F.concat(*(F.get("__c", i + k) for k in range(n)))
         return F.when(last >= 0, F.transform(F.sequence(F.lit(0), F.greatest(last, F.lit(0))), gram)).otherwise(F.array().cast("array<string>"))
 
-    grams = rows.select(id_col, *keep, F.explode(F.concat(*(of(n) for n in range(n_min, n_max + 1)))).alias("gram"))
-    return grams.groupBy(id_col, *keep, "gram").agg(F.count(F.lit(1)).alias("n"))
+    names = [c for c in rows.columns if c != "__c"]
+    return rows.select(*names, F.explode(F.concat(*(of(n) for n in range(n_min, n_max + 1)))).alias("gram"))
 
 
 def gram_counts(train: DataFrame, n_min: int, n_max: int, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
-    """(lang, gram, n) over all training texts; grams are added up within texts before anything is shuffled."""
-    return char_ngrams(train, n_min, n_max, id_col, text_col, keep=(lang_col,)).groupBy(F.col(lang_col).alias("lang"), "gram").agg(F.sum("n").alias("n"))
+    """(lang, gram, n) over all training texts; grams are added up within tasks before anything is shuffled."""
+    rows = _gram_rows(train, n_min, n_max, text_col, F.col(lang_col).alias("lang"))
+    return rows.groupBy("lang", "gram").agg(F.count(F.lit(1)).alias("n"))
 
 
 # --- flat classifier -------------------------------------------------------------------------------------------
@@ -59,7 +67,12 @@ def fit_flat(train: DataFrame, n_min: int = 3, n_max: int = 3, alpha: float = 0.
 
 
 def score_flat(docs: DataFrame, model: FlatModel, id_col: str = "doc_id", text_col: str = "text", temperature: float = 1.0) -> DataFrame:
-    """(id, lang, score): softmax over languages of the mean log-probability of a text's n-grams, divided by the temperature."""
+    """(id, lang, score): softmax over languages of the mean log-probability of a text's n-grams, divided by the temperature. Texts
+    without an n-gram have no row. Weights of a checked size are broadcast and each text is scored where it is; larger ones are met by
+    a join, with the same result."""
+    weights = _weights(model)
+    if weights is not None:
+        return _score_in_place(docs, weights, model.n_min, model.n_max, id_col, text_col, temperature)
     grams = char_ngrams(docs, model.n_min, model.n_max, id_col, text_col)
     met = grams.join(model.table, "gram", "left").crossJoin(F.broadcast(model.floors))  # one row
     each = met.select(id_col, "n", F.explode("floors").alias("lang", "floor"), "w")
@@ -70,6 +83,73 @@ def score_flat(docs: DataFrame, model: FlatModel, id_col: str = "doc_id", text_c
     return e.select(id_col, "lang", (F.col("e") / F.sum("e").over(W.partitionBy(id_col))).alias("score"))
 
 
+@dataclass
+class Weights:
+    """Values of n-grams by language: sorted codes, a row of values each, and a last row for n-grams that are none of them."""
+
+    languages: list[str]
+    codes: np.ndarray
+    values: np.ndarray
+
+    def means(self, text: str, n_min: int, n_max: int) -> np.ndarray | None:
+        """Mean value by language over the n-grams of a lower-cased text; None if it has none."""
+        points = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
+        codes = np.concatenate([_codes(points, n) for n in range(n_min, n_max + 1)])
+        if not len(codes):
+            return None
+        codes, n = np.unique(codes, return_counts=True)
+        at = np.minimum(np.searchsorted(self.codes, codes), max(len(self.codes) - 1, 0))
+        at = np.where(self.codes[at] == codes, at, len(self.codes)) if len(self.codes) else np.zeros(len(codes), int)
+        return n @ self.values[at] / n.sum()
+
+
+def _codes(points: np.ndarray, n: int) -> np.ndarray:
+    """One number for each n-gram of up to three characters: 21 bits a character, none of which is 0."""
+    last = max(len(points) - n + 1, 0)
+    out = np.zeros(last, np.int64)
+    for k in range(n):
+        out = (out << 21) | (points[k : k + last].astype(np.int64) + 1)
+    return out
+
+
+def _weights(model: FlatModel, most_bytes: int = 64 << 20) -> Weights | None:
+    """The model as arrays, or None if n-grams are longer than a code holds or the arrays larger than ``most_bytes``."""
+    if model.n_max > 3:
+        return None
+    floors = model.floors.first().floors or {}
+    languages = sorted(floors)
+    most = most_bytes // (8 * (len(languages) + 1))
+    values = F.array(*(F.coalesce(F.element_at("w", F.lit(x)), F.lit(floors[x])) for x in languages)).alias("v")
+    rows = model.table.select("gram", values).limit(most + 1).toPandas()
+    if len(rows) > most or not languages:
+        return None
+    codes = np.array([_codes(np.frombuffer(g.encode("utf-32-le", "surrogatepass"), np.uint32), len(g))[0] for g in rows["gram"]], np.int64)
+    order = np.argsort(codes)
+    table = np.vstack([*rows["v"].iloc[order], [floors[x] for x in languages]])
+    return Weights(languages, codes[order], table)
+
+
+def _score_in_place(docs: DataFrame, weights: Weights, n_min: int, n_max: int, id_col: str, text_col: str, temperature: float) -> DataFrame:
+    sent = docs.sparkSession.sparkContext.broadcast(weights)
+    rows = docs.select(F.col(id_col).alias("id"), F.lower(F.col(text_col)).alias("text")).where("text IS NOT NULL")
+    kind = rows.schema["id"].dataType.simpleString()
+
+    def run(batches):
+        w = sent.value
+        for batch in batches:
+            found = [w.means(t, n_min, n_max) for t in batch.column("text").to_pylist()]
+            own = [i for i, m in enumerate(found) if m is not None]
+            if not own:
+                continue
+            e = np.vstack([found[i] for i in own])
+            e = np.exp((e - e.max(axis=1, keepdims=True)) / temperature)
+            e /= e.sum(axis=1, keepdims=True)
+            ids = batch.column("id").take(pa.array(np.repeat(own, len(w.languages))))
+            yield pa.RecordBatch.from_arrays([ids, pa.array(w.languages * len(own), pa.string()), pa.array(e.ravel())], ["id", "lang", "score"])
+
+    return rows.mapInArrow(run, f"id {kind}, lang string, score double").withColumnRenamed("id", id_col)
+
+
 # --- tree ------------------------------------------------------------------------------------------------------
 
 

@@ -25,15 +25,16 @@ def word_table(docs: DataFrame, text_col: str = "text") -> DataFrame:
     return docs.select("lang", F.explode(words(F.col(text_col))).alias("word")).groupBy("lang", "word").agg(F.count(F.lit(1)).alias("cnt"))
 
 
-def _spelled(table: DataFrame) -> DataFrame:
+def spelled(table: DataFrame) -> DataFrame:
+    """(word, cnt, s): words as marked symbols, one for each character."""
     letters = F.transform(F.filter(F.split("word", ""), lambda c: c != ""), lambda c: F.concat(F.lit(OPEN), c, F.lit(CLOSE)))
     return table.select("word", "cnt", F.array_join(letters, "").alias("s"))
 
 
-def pair_counts(spelled: DataFrame) -> DataFrame:
+def pair_counts(symbols: DataFrame) -> DataFrame:
     """(a, b, cnt) of neighbouring symbols, weighted by the counts of their words."""
     parts = F.transform(F.filter(F.split("s", CLOSE), lambda x: x != ""), lambda x: F.substr(x, F.lit(2)))
-    rows = spelled.select("cnt", parts.alias("p")).where(F.size("p") > 1)
+    rows = symbols.select("cnt", parts.alias("p")).where(F.size("p") > 1)
     pairs = rows.select("cnt", F.explode(F.transform(F.sequence(F.lit(0), F.size("p") - 2), lambda i: F.struct(F.get("p", i).alias("a"), F.get("p", i + 1).alias("b")))).alias("x"))
     return pairs.groupBy("x.a", "x.b").agg(F.sum("cnt").alias("cnt"))
 
@@ -66,9 +67,9 @@ class Merges:
 def fit_merges(table: DataFrame, merges: int, each_round: int = 1) -> Merges:
     """The most frequent pair is joined, ``merges`` times; ``each_round`` joins that many pairs without a symbol in common before
     pairs are counted again. Ties go to the pair first in the alphabet."""
-    spelled, chosen = materialize(_spelled(table), "symbols"), []
+    symbols, chosen = materialize(spelled(table), "symbols"), []
     while len(chosen) < merges:
-        top = pair_counts(spelled).orderBy(F.desc("cnt"), "a", "b").limit(4 * each_round).collect()
+        top = pair_counts(symbols).orderBy(F.desc("cnt"), "a", "b").limit(4 * each_round).collect()
         used: set[str] = set()
         batch = []
         for r in top:
@@ -80,7 +81,7 @@ def fit_merges(table: DataFrame, merges: int, each_round: int = 1) -> Merges:
         s = F.col("s")
         for a, b in batch:
             s = F.replace(s, F.lit(f"{OPEN}{a}{CLOSE}{OPEN}{b}{CLOSE}"), F.lit(f"{OPEN}{a}{b}{CLOSE}"))
-        spelled = materialize(spelled.withColumn("s", s), "symbols")
+        symbols = materialize(symbols.withColumn("s", s), "symbols")
         chosen += batch
     return Merges(chosen)
 

@@ -8,7 +8,7 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import buckets, dedup, lid, lm, paragraphs
+from ..operators import buckets, dedup, lid, lm, paragraphs, subword
 from ..sources.pages import materialize
 
 
@@ -23,7 +23,7 @@ class CurateOptions:
     aggregate: str = "token_weighted"
     cuts: str = "exact"
     min_chars: int = 1
-    arrays: bool = False  # score by broadcast arrays instead of a join
+    scoring: str = "auto"  # "arrays": broadcast, "join", or arrays where the model's size allows
 
 
 @dataclass
@@ -32,6 +32,7 @@ class Models:
 
     language: Callable[[DataFrame], DataFrame]  # (doc_id, text) -> (doc_id, lang, score) of the best language
     perplexity: DataFrame | None = None  # n-gram model table
+    subwords: dict[str, subword.Unigram | subword.Merges] | None = None  # by language, where the n-grams are of subword pieces
 
 
 def deduped(docs: DataFrame, opts: CurateOptions) -> DataFrame:
@@ -62,10 +63,12 @@ def scored(kept: DataFrame, models: Models, opts: CurateOptions) -> DataFrame:
     """(doc_id, ppl) of documents in a language that has a model; the others never reach the tokenizer."""
     known = models.perplexity.select("lang").distinct()
     rows = lm.sentences(kept.join(F.broadcast(known), "lang", "left_semi"), opts.tokens)
-    if opts.arrays:
-        scores = lm.score_by_arrays(rows, lm.freeze(models.perplexity), opts.lm_order)
-    else:
-        scores = lm.score_by_join(rows, models.perplexity, opts.lm_order)
+    if models.subwords:
+        rows = subword.encode(rows, models.subwords)
+    arrays = None if opts.scoring == "join" else lm.freeze(models.perplexity)
+    if arrays is None and opts.scoring == "arrays":
+        raise ValueError("the model has too many n-grams for arrays")
+    scores = lm.score_by_join(rows, models.perplexity, opts.lm_order) if arrays is None else lm.score_by_arrays(rows, arrays, opts.lm_order)
     return lm.document_ppl(scores, opts.aggregate).select("doc_id", "ppl")
 
 

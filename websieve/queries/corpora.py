@@ -6,7 +6,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import html, urls
-from ..operators import baselines, buckets, dedup, evaluation, lid, lm, metrics, output, paragraphs, replay
+from ..operators import baselines, buckets, dedup, evaluation, lid, lm, metrics, output, paragraphs, replay, subword
 from ..plans import pipeline
 from ..sources import pages as page_io
 from ..sources.pages import materialize
@@ -14,6 +14,7 @@ from . import models as q
 from .common import SQL_KEYS, SQL_PARAS, keys, paras, r6, shard, sql_kept, table
 
 ALL = pipeline.CurateOptions(lm_order=3)
+JOINED = pipeline.CurateOptions(lm_order=3, scoring="join")
 
 
 # --- pipelines -------------------------------------------------------------------------------------------------
@@ -37,7 +38,19 @@ def pipeline_curate(spark, sf):
 
 
 def pipeline_curate_arrays(spark, sf):
-    return _summary(pipeline.curate(_docs(spark, sf), _models(spark, sf), pipeline.CurateOptions(lm_order=3, arrays=True)))
+    return _summary(pipeline.curate(_docs(spark, sf), _models(spark, sf), pipeline.CurateOptions(lm_order=3, scoring="arrays")))
+
+
+def pipeline_curate_joined(spark, sf):
+    return _summary(pipeline.curate(_docs(spark, sf), _models(spark, sf), JOINED))
+
+
+def pipeline_subword(spark, sf):
+    """The quality score in full: subword pieces under a 5-gram model of the target corpus."""
+    pieces = q.subword_models(spark, sf)
+    model = materialize(lm.fit(lm.ngrams(subword.encode(lm.sentences(q.target(spark, sf)), pieces), 5), 5), "subword-model")
+    models = pipeline.Models(q.flat_language(spark, sf), model, pieces)
+    return _summary(pipeline.curate(_docs(spark, sf), models, pipeline.CurateOptions()))
 
 
 def pipeline_no_lm(spark, sf):
@@ -276,7 +289,7 @@ def e_bucket_table(spark, sf):
 def _head_crawl(spark, sf, target):
     """(doc_id, lang, text) of the head bucket of even documents outside the target corpus, cut by perplexity under its model."""
     crawl = lm.outside(q.lid_train(spark, sf), target).select("doc_id", "lang", "text")
-    scores = materialize(lm.document_ppl(lm.score_by_join(lm.sentences(crawl), q.word_model(spark, sf, corpus=target), 3)), "crawl-scores")
+    scores = materialize(lm.document_ppl(lm.score(lm.sentences(crawl), q.word_model(spark, sf, corpus=target), 3)), "crawl-scores")
     head = buckets.select(buckets.assign(scores, buckets.thresholds(scores)), ("head",)).select("doc_id")
     return crawl.join(head, "doc_id", "left_semi")
 
@@ -296,7 +309,7 @@ def e_transfer(spark, sf):
 
 
 CALLS = {f.__name__: f for f in (
-    pipeline_curate, pipeline_curate_arrays, pipeline_no_lm, pipeline_lid_first, pipeline_two_passes, pipeline_snapshots, pipeline_conversations, w_file_plan, w_chunk_plan, w_cap_corpus, w_manifest, w_rebuild, w_audit, w_sink_roundtrip,
+    pipeline_curate, pipeline_curate_arrays, pipeline_curate_joined, pipeline_subword, pipeline_no_lm, pipeline_lid_first, pipeline_two_passes, pipeline_snapshots, pipeline_conversations, w_file_plan, w_chunk_plan, w_cap_corpus, w_manifest, w_rebuild, w_audit, w_sink_roundtrip,
     bl_line_corpus, bl_curated, bl_url_allowlist, bl_rules, bl_raw, bl_random_split, bl_doc_dedup, x_remaining_curve, x_remaining_drop_all, x_duplicate_share, x_docs_removed, x_hashset_cost, x_hashset_cost_sketch,
     x_order_ratio, x_order_transitions, x_capacity_plan, x_stage_share, x_language_stats, x_languages_over, x_log_histogram, x_top_languages, x_size_vs_target, x_benchmark_hits, e_analogy_vectors, e_analogy_vectors_all, e_suffix_pairs, e_bucket_table, e_transfer,
 )}
@@ -411,3 +424,4 @@ WITH w AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '[\p{L}\p{N}]+
 p AS (SELECT a.w AS stem, substr(b.w, length(a.w) + 1) AS suffix FROM w a JOIN w b ON length(b.w) BETWEEN length(a.w) + 1 AND length(a.w) + 4 AND a.w = substr(b.w, 1, length(a.w)) AND length(a.w) >= 3)
 SELECT suffix, count(*) AS stems FROM p GROUP BY suffix ORDER BY stems DESC, suffix LIMIT 20""",
 }
+ORACLES |= {name: ORACLES["pipeline_curate"] for name in ("pipeline_curate_arrays", "pipeline_curate_joined")}  # scoring changes no result

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators import buckets, lid, lm, metrics
+from ..operators import buckets, lid, lm, metrics, subword
 from ..sources.pages import materialize
 from .common import SQL_PARAS, r6, table
 
@@ -45,8 +45,13 @@ def word_model(spark, sf, order=3, corpus=None):
 
 
 def paragraph_scores(spark, sf, order=3):
-    rows = lm.sentences(lid_test(spark, sf))
-    return lm.score_by_join(rows, word_model(spark, sf, order), order)
+    return lm.score(lm.sentences(lid_test(spark, sf)), word_model(spark, sf, order), order)
+
+
+def subword_models(spark, sf, vocabulary=400):
+    """A unigram model of subword pieces for each language of the target corpus."""
+    words = materialize(subword.word_table(target(spark, sf)), "words")
+    return {r.lang: subword.fit_unigram(words.where(F.col("lang") == r.lang), vocabulary)[0] for r in words.select("lang").distinct().collect()}
 
 
 def document_scores(spark, sf, order=3):
@@ -259,6 +264,22 @@ def _char_sums(docs):
     return lm.sentences(docs, lm.chars).groupBy("doc_id").agg(F.sum(F.size("toks")).cast("long").alias("n_tokens"))
 
 
+def t_pair_counts(spark, sf):
+    """Neighbouring letters of the target corpus, weighted by word counts: what the first merge chooses from."""
+    return subword.pair_counts(subword.spelled(subword.word_table(target(spark, sf))))
+
+
+def t_subword(spark, sf):
+    """Pieces of odd documents; joined they are the words again."""
+    rows = subword.encode(lm.sentences(lid_test(spark, sf)), subword_models(spark, sf))
+    return rows.select("doc_id", "para_no", F.array_join("toks", " ").alias("pieces"))
+
+
+def m_paragraph_ppl_joined(spark, sf):
+    rows = lm.score_by_join(lm.sentences(lid_test(spark, sf)), word_model(spark, sf), 3)
+    return lm.paragraph_ppl(rows).select("doc_id", "lang", "para_no", r6("log10_sum").alias("log10_sum"), "n_tokens", F.round("ppl", 4).alias("ppl"))
+
+
 def _counts(spark, sf, order=3):
     return lm.ngrams(lm.sentences(target(spark, sf)), order)
 
@@ -329,7 +350,7 @@ def m_custom_target(spark, sf):
     """A user's own target corpus: the benchmark passages, with cuts of their own."""
     own = table(spark, sf, "benchmark").select(F.col("item_id").alias("doc_id"), F.lit("en").alias("lang"), "text")
     model = word_model(spark, sf, corpus=own)
-    scores = materialize(lm.document_ppl(lm.score_by_join(lm.sentences(lid_test(spark, sf).where("lang = 'en'")), model, 3)), "own-scores")
+    scores = materialize(lm.document_ppl(lm.score(lm.sentences(lid_test(spark, sf).where("lang = 'en'")), model, 3)), "own-scores")
     cuts = buckets.thresholds(scores)
     return cuts.select("lang", F.round("cut_head", 4).alias("cut_head"), F.round("cut_tail", 4).alias("cut_tail"))
 
@@ -436,7 +457,7 @@ def x_lm_train_size(spark, sf):
 
 CALLS = {f.__name__: f for f in (
     l_char_ngrams, l_ngram_topk, l_train_counts, l_flat_scores, l_tree_scores, l_tree_logistic, l_score_map, l_best, l_accept, l_discarded, l_split_counts, l_paragraph_level, l_confusion,
-    l_char_ngrams_all, t_word_tokens_all, t_char_tokens_all, t_word_tokens, t_char_tokens, m_ngram_counts, m_adjusted_counts, m_discounts, m_discounts_single, m_kn_model, m_kn_model_5, m_kn_single, m_kn_pruned, m_addk_model, m_ml_model, m_paragraph_ppl, m_paragraph_ppl_arrays,
+    l_char_ngrams_all, t_word_tokens_all, t_char_tokens_all, t_word_tokens, t_char_tokens, t_pair_counts, t_subword, m_ngram_counts, m_adjusted_counts, m_discounts, m_discounts_single, m_kn_model, m_kn_model_5, m_kn_single, m_kn_pruned, m_addk_model, m_ml_model, m_paragraph_ppl, m_paragraph_ppl_arrays, m_paragraph_ppl_joined,
     m_document_ppl, m_document_ppl_variants, m_custom_target, b_ntile, b_assign, b_sizes, b_by_chars, b_by_tokens, b_keep_head, b_max_ppl, b_no_model, x_ppl_histogram, x_ppl_spread, x_bucket_profile, x_bucket_quality, x_auc, x_auc_binned, x_macro_accuracy, x_lm_train_size,
 )} | {"b_thresholds_exact": _cuts_query(), "b_thresholds_sketch": _cuts_query(method="sketch"), "b_global_cut": _cuts_query(per_language=False)}
 
@@ -492,6 +513,8 @@ SELECT doc_id, lang, round(product(CASE WHEN first THEN p ELSE 1 - p END), 6) AS
     "t_word_tokens": f"WITH {_TEST}, {sql_sentences('test', 's')} SELECT doc_id, para_no, array_to_string(toks, ' ') AS tokens FROM s",
     "t_char_tokens": """
 SELECT doc_id, sum(length(part))::BIGINT AS n_tokens FROM (SELECT doc_id, unnest(string_split(lower(text), chr(10))) AS part FROM documents WHERE doc_id % 2 = 1 AND doc_id < 200) WHERE length(part) > 0 GROUP BY doc_id""",
+    "t_pair_counts": f"""WITH {SQL_TARGET}, {sql_sentences('target', 'ts')}, w AS (SELECT unnest(toks) AS word FROM ts),
+c AS (SELECT word, unnest(range(1, length(word))) AS i FROM w) SELECT substr(word, i, 1) AS a, substr(word, i + 1, 1) AS b, count(*) AS cnt FROM c GROUP BY 1, 2""",
     "m_ngram_counts": f"""{_MODEL}
 SELECT lang, 1::INTEGER AS n, z AS key, n AS cnt FROM c1 UNION ALL SELECT lang, 2, y || ' ' || z, n FROM c2 UNION ALL SELECT lang, 3, x || ' ' || y || ' ' || z, n FROM c3""",
     "m_adjusted_counts": f"""{_MODEL}
@@ -503,6 +526,7 @@ SELECT lang, 1::INTEGER AS n, z AS key, round(log10(p), 6) AS log10_p FROM p1 UN
 UNION ALL SELECT lang, 2, y || ' ' || z, round(log10(p), 6) FROM p2 UNION ALL SELECT lang, 3, x || ' ' || y || ' ' || z, round(log10(p), 6) FROM p3""",
     "m_paragraph_ppl": f"{_SCORES} SELECT doc_id, lang, para_no, round(log10_sum, 6) AS log10_sum, n_tokens, round(pow(10, -log10_sum / n_tokens), 4) AS ppl FROM para_scores",
     "m_paragraph_ppl_arrays": f"{_SCORES} SELECT doc_id, lang, para_no, round(log10_sum, 6) AS log10_sum, n_tokens, round(pow(10, -log10_sum / n_tokens), 4) AS ppl FROM para_scores",
+    "m_paragraph_ppl_joined": f"{_SCORES} SELECT doc_id, lang, para_no, round(log10_sum, 6) AS log10_sum, n_tokens, round(pow(10, -log10_sum / n_tokens), 4) AS ppl FROM para_scores",
     "m_document_ppl": f"{_SCORES} SELECT doc_id, lang, round(ppl, 4) AS ppl, n_tokens FROM doc_scores",
     "m_document_ppl_variants": f"""{_SCORES}, pp AS (SELECT doc_id, pow(10, -log10_sum / n_tokens) AS ppl FROM para_scores)
 SELECT doc_id, 'mean_para' AS agg, round(avg(ppl), 4) AS ppl FROM pp GROUP BY 1 UNION ALL SELECT doc_id, 'max_para', round(max(ppl), 4) FROM pp GROUP BY 1
