@@ -1,4 +1,4 @@
-"""The manifest of a finished run, and the corpus rebuilt from it and the raw pages."""
+"""The manifest of a finished run, and the corpus rebuilt from it and the raw pages. Pages are known by their ids: several may have one url."""
 
 from __future__ import annotations
 
@@ -21,19 +21,19 @@ def manifest(corpus: DataFrame, pages: DataFrame, text_col: str = "text", keep:
 
 def rebuild(entries: DataFrame, pages: DataFrame, text_col: str = "text") -> DataFrame:
     """``entries`` with their text; pages that changed since, or are missing, give no row."""
-    raw = pages.select("url", F.col(text_col).alias("__text"))
-    met = entries.join(raw, "url").where(digest(F.col("__text")) == F.col("page_digest"))
+    raw = pages.select("page_id", F.col(text_col).alias("__text"))
+    met = entries.join(raw, "page_id").where(digest(F.col("__text")) == F.col("page_digest"))
     return met.select(*entries.columns, pick_lines(F.col("__text"), F.col("para_nos")).alias("text"))
 
 
 def audit(entries: DataFrame, pages: DataFrame, text_col: str = "text") -> DataFrame:
     """(status, pages): entries that are unchanged, changed or missing, and pages without an entry ("new")."""
-    raw = pages.select("url", digest(F.col(text_col)).alias("__now"))
+    raw = pages.select("page_id", digest(F.col(text_col)).alias("__now"))
     status = F.when(F.col("page_digest").isNull(), "new").when(F.col("__now").isNull(), "missing").when(F.col("__now") == F.col("page_digest"), "unchanged").otherwise("changed")
-    return entries.select("url", "page_digest").join(raw, "url", "full").groupBy(status.alias("status")).agg(F.count(F.lit(1)).alias("pages"))
+    return entries.select("page_id", "page_digest").join(raw, "page_id", "full").groupBy(status.alias("status")).agg(F.count(F.lit(1)).alias("pages"))
 
 
 def audit_log(entries: DataFrame, pages: DataFrame, text_col: str = "text") -> DataFrame:
     """(url) of the entries that cannot be rebuilt."""
-    raw = pages.select("url", digest(F.col(text_col)).alias("__now"))
-    return entries.select("url", "page_digest").join(raw, "url", "left").where(F.col("__now").isNull() | (F.col("__now") != F.col("page_digest"))).select("url")
+    raw = pages.select("page_id", digest(F.col(text_col)).alias("__now"))
+    return entries.select("page_id", "url", "page_digest").join(raw, "page_id", "left").where(F.col("__now").isNull() | (F.col("__now") != F.col("page_digest"))).select("url")
