@@ -61,13 +61,15 @@ def running_first(events: DataFrame) -> DataFrame:
 
 
 def collect_stream(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a stream over all files that are there, into Parquet (append) or a table in memory, and return what it wrote."""
+    """Run a stream over all files that are there, into Parquet in the shared folder, and return what it wrote: the last result of a
+    stream that gives its whole result with every batch ("complete"), all rows of the others. No rows come to the driver."""
     spark = stream.sparkSession
-    checkpoint = shared_path(spark, "stream-state")
+    checkpoint, path = shared_path(spark, "stream-state"), shared_path(spark, "stream-out")
+    writer = stream.writeStream.option("checkpointLocation", checkpoint).outputMode(mode).trigger(availableNow=True)
     if mode == "append":
-        path = shared_path(spark, "stream-out")
-        stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
-        return spark.read.schema(stream.schema).parquet(path)
-    name = "websieve_" + checkpoint.rsplit("-", 1)[-1]
-    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+        writer.format("parquet").option("path", path).start().awaitTermination()
+    else:
+        how = "overwrite" if mode == "complete" else "append"
+        spark.createDataFrame([], stream.schema).write.parquet(path)  # a stream without files has no batch
+        writer.foreachBatch(lambda batch, _: batch.write.mode(how).parquet(path)).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(path)
