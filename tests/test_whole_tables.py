@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 from collections import Counter
 
+import pytest
 from pyspark.sql import functions as F
 
 from websieve.operators import evaluation, lm
@@ -65,3 +66,10 @@ def test_bucket_table_has_both_languages_at_full_width(spark, monkeypatch):
     dims = []
     monkeypatch.setattr(evaluation, "bucket_table", lambda docs, dim: dims.append(dim) or docs.select("bucket").distinct())
     assert {r.lang for r in CALLS["e_bucket_table"](spark, SMALL).collect()} == {"en", "fr"} and dims == [300, 300]
+
+
+def test_capacity_plan_counts_the_documents_it_is_given(spark, tmp_path):
+    rows = [(i, f"source{i % 4}") for i in range(72_000)]
+    spark.createDataFrame(rows, "doc_id long, source string").write.parquet(f"file://{tmp_path}/documents.parquet")
+    plan = CALLS["x_capacity_plan"](spark, f"file://{tmp_path}").first()
+    assert (plan.shards, plan.hash_hours_per_shard, plan.waves) == (4, pytest.approx(18_000 / 600 / 3600, abs=1e-6), 1)
