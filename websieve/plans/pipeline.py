@@ -65,11 +65,13 @@ def scored(kept: DataFrame, models: Models, opts: CurateOptions) -> DataFrame:
     rows = lm.sentences(kept.join(F.broadcast(known), "lang", "left_semi"), opts.tokens)
     if models.subwords:
         rows = subword.encode(rows, models.subwords)
-    scores = None if opts.scoring == "join" else lm.score_in_place(rows, models.perplexity, opts.lm_order)
-    if scores is None and opts.scoring == "arrays":
-        raise ValueError("the model has too many single tokens for arrays")
-    if scores is None:
-        scores = lm.score_by_join(rows, models.perplexity, opts.lm_order)
+    if opts.scoring == "arrays":
+        scores = lm.score_in_place(rows, models.perplexity, opts.lm_order)
+        if scores is None:
+            raise ValueError("the model has too many single tokens for arrays")
+    else:
+        arrays = lm.freeze(models.perplexity) if opts.scoring == "auto" else None
+        scores = lm.score_dealt(rows, models.perplexity, opts.lm_order) if arrays is None else lm.score_by_arrays(rows, arrays, opts.lm_order)
     return lm.document_ppl(scores, opts.aggregate).select("doc_id", "ppl")
 
 
