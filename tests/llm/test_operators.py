@@ -427,3 +427,20 @@ def test_last_round_meets_the_same_pairs_without_the_square_of_a_shared_passage(
     assert 0 < pairs <= met < square
     met, square, pairs = met_and_square([5, 6], 80)
     assert (met, pairs) == (0, 0) and square > 1000
+
+
+def test_caches_hold_a_working_set_that_fits():
+    from websieve.llm.common import BoundedCache
+
+    cache, misses = BoundedCache(100 * 190), 0
+    for _ in range(3):
+        for key in (f"key{i:07}" for i in range(90)):
+            if cache.get(key) is None:
+                misses += 1
+                cache.put(key, b"x")
+    assert misses == 90 and len(cache) == 90
+    for i in range(1000):
+        cache.put(f"new{i:07}", b"x")
+    assert 80 <= len(cache) <= 100 and cache.held == sum(180 + len(k) for k in cache) and "new0000999" in cache
+    cache.put("x" * 20_000, b"y")
+    assert cache.held <= 100 * 190

@@ -77,7 +77,7 @@ class ChunkTokenizer:
         return chr(i) if i in shown else chr(256 + sum(1 for b in range(i) if b not in shown))
 
     def _merge(self, word: str) -> bytes:
-        if (known := self.letters.recall(word)) is None:
+        if (known := self.letters.get(word)) is None:
             table = self.byte_chars
             shown = word if word.isascii() else "".join([table[b] for b in word.encode()])
             ids = [t.id for t in self.model.tokenize(shown)]
@@ -117,7 +117,7 @@ class ChunkTokenizer:
             coded = [plain(m) if (m := like(c)) else None for c in parts]
         else:
             coded = [None if self.by_chunk else b""] * len(parts)
-        recall = self.chunks.recall
+        recall = self.chunks.get
         missing = []
         for i in [i for i, known in enumerate(coded) if known is None]:
             if (known := recall(parts[i])) is None:

@@ -56,7 +56,7 @@ class SpaceCutTokenizer:
         words = Words(texts)
         parts = words.distinct.to_pylist()
         hot, cache = frequent.get, self.cache
-        sizes = [hot(p) or cache.get(p) or cache.recall(p) for p in parts]
+        sizes = [hot(p) or cache.get(p) for p in parts]
         missing = [i for i, size in enumerate(sizes) if size is None]
         for i, size in zip(missing, self.encode_sizes([parts[i] for i in missing])):
             sizes[i] = size
