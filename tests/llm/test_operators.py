@@ -444,3 +444,27 @@ def test_caches_hold_a_working_set_that_fits():
     assert 80 <= len(cache) <= 100 and cache.held == sum(180 + len(k) for k in cache) and "new0000999" in cache
     cache.put("x" * 20_000, b"y")
     assert cache.held <= 100 * 190
+
+
+def test_words_are_scored_a_part_at_a_time(spark, monkeypatch):
+    from websieve.llm import toxicity
+
+    docs = spark.createDataFrame([(i, f"{'bad' if i % 2 else 'good'} word{i} thing") for i in range(40)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(40)], "doc_id long, toxic int")
+    model = toxicity.fit(docs, labels, F.lit(True), F.col("doc_id") % 4 < 2).language_models
+    texts, sizes, ratios = pa.array([r.text for r in docs.collect()] + ["", None]), [], toxicity.KneserNey.ratios
+    whole = toxicity.features(texts, model)
+    monkeypatch.setattr(toxicity, "RATIO_WORDS", 4)
+    monkeypatch.setattr(toxicity.KneserNey, "ratios", lambda self, words: sizes.append(len(words)) or ratios(self, words))
+    assert np.array_equal(toxicity.features(texts, model), whole) and max(sizes) == 4 and len(sizes) > 9
+
+
+def test_workers_forget_other_operators():
+    from websieve.llm import common
+
+    common.loaded("one")["x"] = 1
+    common.loaded("two")["y"] = 2
+    common.forget_others("two")
+    assert common.loaded("two") == {"y": 2} and common.loaded("one") == {}
+    common.forget_others(None)
+    assert common.loaded("two") == {}

@@ -28,14 +28,13 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, Words, map_batches, slices
+from .common import BoundedCache, Words, loaded, map_batches, slices
 
 ODD_SPACE = "[\x1c-\x1f]"
 SENTENCE_ENDS = r"(^\n|[.!?])$"
 PLAIN = re.compile("([A-Za-zß-öø-ÿÀ-ÖØ-Þ]+)([!-&(-/:-@[-`{-~]*)")
 APART = 20_000  # chunks that are encoded together
 DOCUMENT, SENTENCE, FORCED = 0, 1, 2
-_LOADED: dict[str, "ChunkTokenizer"] = {}
 
 
 class ChunkTokenizer:
@@ -92,9 +91,10 @@ class ChunkTokenizer:
 
     @classmethod
     def of(cls, path: str) -> "ChunkTokenizer":
-        if path not in _LOADED:
-            _LOADED[path] = cls(path)
-        return _LOADED[path]
+        kept = loaded("packing")
+        if path not in kept:
+            kept[path] = cls(path)
+        return kept[path]
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.library.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
@@ -271,7 +271,7 @@ def pack(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col:
 
     key = docs.schema[id_col].dataType.simpleString()
     schema = f"key {key}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-    return map_batches(docs.select(F.col(id_col).alias("key"), F.col(text_col).alias("t")), run, schema).withColumnRenamed("key", id_col)
+    return map_batches(docs.select(F.col(id_col).alias("key"), F.col(text_col).alias("t")), run, schema, "packing").withColumnRenamed("key", id_col)
 
 
 def as_batch(rows: list[tuple], key_type: pa.DataType) -> pa.RecordBatch:

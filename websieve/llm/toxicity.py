@@ -32,6 +32,7 @@ TRIM = ".,;:!?|()[]{}\"'*#$%&-"
 STEPS = [np.uint64(pow(0x9E3779B97F4A7C15, t, 1 << 64)) for t in range(1, ORDER + 1)]
 MIX = np.uint64(0xD6E8FEB86659FD93)
 N_FEATURES = 5
+RATIO_WORDS = 16_384  # distinct words that are scored together
 
 
 def letter_grams(words: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -105,7 +106,9 @@ def normal_words(texts: pa.Array) -> tuple[Words, pa.Array, np.ndarray]:
 
 def features(texts: pa.Array, model: KneserNey) -> np.ndarray:
     words, forms, form_of = normal_words(texts)
-    ratio = model.ratios(forms)[form_of]
+    # A part of the words at a time: their letters take many times their bytes.
+    parts = [model.ratios(forms.slice(i, RATIO_WORDS)) for i in range(0, len(forms), RATIO_WORDS)]
+    ratio = np.concatenate([np.zeros(0), *parts])[form_of]
     spoken = (pc.binary_length(forms).to_numpy(zero_copy_only=False) > 0)[form_of]
     n = words.sums(spoken.astype(np.int64))
     mean = words.sums(ratio) / np.maximum(n, 1)
