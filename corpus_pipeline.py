@@ -12,11 +12,14 @@ one task.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import wraps
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from websieve.llm import decontamination, line_dedup, ngram_join, packing, toxicity
-from websieve.llm.common import fresh, table, without_rows, written
+from websieve.llm.common import fresh, give_back_heap, table, without_rows, written
 from websieve.llm.queries import TOXIC_FROM, tokenizer_file, toxicity_classifier
 
 
@@ -65,12 +68,26 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack(docs, tokenizer_file("word_bpe_49k.json"))
 
 
+Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
+
+
+def with_free_heap(stage: Stage) -> Stage:
+    """``stage``, begun by executors that do not keep the heap of the stage before."""
+
+    @wraps(stage)
+    def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        give_back_heap(spark)
+        return stage(spark, docs, sf_dir)
+
+    return run
+
+
 STAGES = [
-    ("toxicity", drop_toxic),
-    ("line_dedup", drop_boilerplate_lines),
-    ("ngram_join", keep_one_of_each_group),
-    ("decontamination", drop_contaminated),
-    ("packing", packed),
+    ("toxicity", with_free_heap(drop_toxic)),
+    ("line_dedup", with_free_heap(drop_boilerplate_lines)),
+    ("ngram_join", with_free_heap(keep_one_of_each_group)),
+    ("decontamination", with_free_heap(drop_contaminated)),
+    ("packing", with_free_heap(packed)),
 ]
 
 #: Language models and tokenizers are beyond SQL; tests hold the stages against brute force.

@@ -112,3 +112,14 @@ def test_stages_with_nulls_repeats_clashing_names_and_nothing(spark, tmp_path):
     assert len(left) == len(docs) - 2 and not any(t and passage in t for _, t in left) and (3, docs[3][1]) in left
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, table.limit(0), sf).count() == 0
+
+
+def test_stages_begin_without_the_heap_of_the_stage_before(spark, tmp_path):
+    runtime = spark._jvm.java.lang.Runtime.getRuntime()
+    held = [spark._jvm.java.nio.ByteBuffer.allocate(100 << 20) for _ in range(12)]
+    grown = runtime.totalMemory()
+    del held
+    docs = spark.createDataFrame([(1, "a b", "en", "s", 3)], "doc_id long, text string, lang string, source string, n_chars long")
+    for _, stage in corpus_pipeline.STAGES[-1:]:
+        assert stage(spark, docs, f"file://{tmp_path}").columns[0] == "doc_id"
+    assert runtime.totalMemory() < grown - (500 << 20)
