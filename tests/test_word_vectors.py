@@ -42,3 +42,13 @@ def test_nearest_takes_the_smallest_word_of_equal_vectors_and_none_of_zeros(spar
     scored = {r.kind: (r.n, r.correct) for r in evaluation.analogy_score(vectors, asked, oov="wrong").collect()}
     assert scored == {"k": (2, 1), "total": (2, 1)}
     assert evaluation.analogy_nearest(vectors, asked.where(F.lit(False))).count() == 0
+
+
+def test_transfer_tells_texts_apart_without_mllib_vectors(spark, monkeypatch):
+    from pyspark.ml.feature import Word2Vec
+
+    monkeypatch.setattr(Word2Vec, "fit", lambda *_: (_ for _ in ()).throw(AssertionError("MLlib gathers all vectors on the driver")))
+    docs = _topics(spark, 80).select(F.monotonically_increasing_id().alias("doc_id"), F.lit("en").alias("lang"), "text")
+    dev = _topics(spark, 120).select(F.lit("en").alias("lang"), "text", F.substr("text", F.lit(1), F.lit(1)).isin("a", "b").cast("int").alias("label"))
+    rows = {r.corpus: r.accuracy for r in evaluation.transfer({"target": docs, "crawl": docs.where("doc_id % 2 = 0")}, dev, 100_000, 10, 12).collect()}
+    assert set(rows) == {"target", "crawl", "random"} and min(rows.values()) > 0.9

@@ -282,15 +282,16 @@ def transfer(corpora: dict[str, DataFrame], dev: DataFrame, cap_bytes: int, step
         sources.append((name, word_vectors(cap_corpus(corpus, ["lang"], ["doc_id"], budget), dim, min_count=2).persist()))
     sources.append(("random", random_vectors(sources[0][1], dim)))
     for name, vectors in sources:
-        mean = rows.join(vectors, "word").groupBy("id", "label").agg(F.array(*(F.avg(F.col("vec")[i]) for i in range(dim))).alias("v"))
+        # Sums and one count: an average keeps a count for each dimension, which doubles what is shuffled.
+        sums = rows.join(vectors, "word").groupBy("id", "label").agg(F.count(F.lit(1)).alias("n"), *(F.sum(F.col("vec")[i]).alias(f"s{i}") for i in range(dim)))
+        mean = sums.select("id", "label", F.array(*(F.col(f"s{i}") / F.col("n") for i in range(dim))).alias("v"))
         x = mean.select("id", F.col("label").cast("double").alias("label"), array_to_vector("v").alias("features")).persist()
         model = LogisticRegression(maxIter=steps).fit(x.where("id % 2 = 0"))
         right = model.transform(x.where("id % 2 <> 0")).select(F.avg((F.col("prediction") == F.col("label")).cast("double"))).first()[0]
         results.append((name, right))
         x.unpersist()
+        del sums, mean, x, model
+        free_shuffles(spark)
     for _, vectors in sources:
         vectors.unpersist()
-    del vectors, mean, x, model
-    sources.clear()
-    free_shuffles(spark)
     return spark.createDataFrame(results, "corpus string, accuracy double")
